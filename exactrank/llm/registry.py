@@ -3,14 +3,15 @@
 from __future__ import annotations
 
 from exactrank.llm.licenses import OP7_SQL, op7_license_scan
+from exactrank.llm.quality import op6_quality_rules
 from exactrank.llm.sharding import OP3_SQL, op3_rendezvous_shards
+from exactrank.llm.syncmers import op1_syncmer_fingerprints
+
+_QUERIES = [op1_syncmer_fingerprints, op3_rendezvous_shards, op6_quality_rules, op7_license_scan]
 
 
 def queries() -> dict:
-    return {
-        "op3_rendezvous_shards": op3_rendezvous_shards,
-        "op7_license_scan": op7_license_scan,
-    }
+    return {q.__name__: q for q in _QUERIES}
 
 
 def oracle_sql() -> dict[str, str]:
