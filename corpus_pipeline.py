@@ -1,10 +1,53 @@
-"""Filter, deduplicate and pack a corpus: each stage's Parquet output is the next one's input."""
+"""Filter, deduplicate and pack a corpus: each stage's Parquet output is the next one's input.
+
+``STAGES`` are (name, function) pairs; a function takes (spark, docs, sf_dir) and returns all
+it keeps, with the columns of documents, but for the last, which returns token pieces with
+their places. Nulls, empty tables and repeated rows are treated as the operators say.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from pyspark.sql import DataFrame, SparkSession
+
+from exactrank.llm import lsh_forest, packing, quality, repeats
+from exactrank.llm.common import materialise
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the base rules or the fitted classifier reject go."""
+    verdict = quality.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return quality.keep_good(docs, verdict)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of five-word Jaccard similarity 0.8 stays."""
+    return lsh_forest.one_of_each_class(docs)
+
+
+def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Bytes under 200-byte strings that start elsewhere too go; documents stay."""
+    return repeats.remove_repeats(docs)
+
+
+def packed_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token pieces with their sequence and offset."""
+    return packing.pack_documents(docs)
+
+
+STAGES = [
+    ("quality_rules", quality_rules),
+    ("near_duplicates", near_duplicates),
+    ("repeated_passages", repeated_passages),
+    ("packed_sequences", packed_sequences),
+]
+#: The classifier and the encodings have no SQL; the stages are tested against plain Python.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for i, (name, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if i < len(STAGES) - 1:
+            docs = materialise(docs, name)
+    return docs
