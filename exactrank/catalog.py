@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
-from exactrank import quantile_queries
+from exactrank import operator_queries, quantile_queries
+from exactrank.streaming import queries as stream_queries
+
+_PARTS = (quantile_queries, operator_queries, stream_queries)
 
 
 def queries() -> dict:
-    return dict(quantile_queries.QUERIES)
+    return {k: q for part in _PARTS for k, q in part.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(quantile_queries.SQL)
+    return {k: q for part in _PARTS for k, q in part.SQL.items()}
