@@ -202,7 +202,7 @@ class AdaptiveSummary(BufferedSummary):
         if alpha <= 1:
             raise ValueError("alpha must be over 1")
         super().__init__(eps, start, 0)
-        self.alpha = alpha
+        self.alpha, self.start = alpha, start
 
     def after_flush(self) -> None:
         self.head = max(self.head, math.ceil(self.alpha * len(self.body)))

@@ -272,7 +272,7 @@ def _fused(run: _Run, targets: list) -> dict[int, object] | None:
 def result_frame(spark, rows: list[tuple], kind: T.DataType, interpolated: bool) -> DataFrame:
     out = T.DoubleType() if interpolated else kind
     schema = T.StructType([T.StructField("q", T.DoubleType()), T.StructField("k", T.LongType()), T.StructField("value", out)])
-    return spark.createDataFrame(rows, schema)
+    return spark.createDataFrame([(q, k, v + 0.0 if isinstance(v, float) else v) for q, k, v in rows], schema)
 
 
 def quantile_values(

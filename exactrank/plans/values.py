@@ -13,7 +13,8 @@ NAN_POLICIES = ("last", "drop", "error")
 
 
 def value_column(df: DataFrame, col: str | Column, nan_policy: str = "last") -> DataFrame:
-    """``df`` as one column ``v`` without nulls; -0.0 becomes 0.0. NaN is a value above all
+    """``df`` as one column ``v`` without nulls, the bare column, so that filters on it reach the
+    scan. -0.0 equals 0.0 throughout and is given back as 0.0. NaN is a value above all
     others (``last``), left out (``drop``) or refused by the first count (``error``)."""
     if nan_policy not in NAN_POLICIES:
         raise ValueError(f"no NaN policy {nan_policy!r}")
@@ -22,10 +23,8 @@ def value_column(df: DataFrame, col: str | Column, nan_policy: str = "last") ->
     if isinstance(kind, (T.BooleanType, T.ArrayType, T.MapType, T.VariantType, T.BinaryType)):
         raise TypeError(f"quantiles need ordered scalars or structs of them, not {kind.simpleString()}")
     out = out.where("v IS NOT NULL")
-    if isinstance(kind, FLOATING):
-        out = out.select((F.col("v") + F.lit(0.0)).cast(kind).alias("v"))
-        if nan_policy == "drop":
-            out = out.where(~F.isnan("v"))
+    if isinstance(kind, FLOATING) and nan_policy == "drop":
+        out = out.where(~F.isnan("v"))
     return out
 
 
