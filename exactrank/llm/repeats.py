@@ -30,16 +30,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from exactrank.llm.common import documents, materialise, shuffle_width
-from exactrank.llm.textkernel import SpanHash, mix, pieces, text_buffer
+from exactrank.llm.textkernel import SpanHash, mix, pieces, squeeze, swell, text_buffer
 
 LENGTH = 200
 TOKEN = 40
 #: Different surroundings of one token that a single task compares.
 CROWD = 8192
+#: Suffixes in a bucket of the sort, about.
+BUCKET = 50_000
 #: Suffixes that a task holds before it settles repeats among them.
 HOLD = 400_000
 _PLACE_BITS = np.uint64(34)
@@ -195,18 +198,59 @@ def _compared(key, body, rk, meta, crowded: set) -> Iterator[pa.RecordBatch]:
     yield _batch(key[at], crowd[open_].astype(np.int64), rk[at], meta[at] & ~np.int64(3))
 
 
-def _fetch_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The bytes that each open suffix's windows cover."""
-    names = ["key", "crowded", "rk", "meta", "cover"]
-    for batch in batches:
-        out: list[list] = [[], [], [], [], []]
-        for rk, text, wanted in zip(batch["rk"].to_pylist(), batch["text"].to_pylist(), batch["wanted"].to_pylist()):
-            raw = (text or "").encode()
-            for w in wanted:
-                first, more = w["meta"] >> 18, (w["meta"] >> 10) & 255
-                for c, v in zip(out, (w["key"], w["crowded"], rk, w["meta"], raw[first : first + more + LENGTH])):
-                    c.append(v)
-        yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in out[:4]), pa.array(out[4], pa.binary())], names)
+def _covers(batch: pa.RecordBatch):
+    """Leading token, crowdedness, row key, meta and covered bytes of the suffixes wanted from
+    each text."""
+    numbers, covers = [], []
+    for rk, text, wanted in zip(batch["rk"].to_pylist(), batch["text"].to_pylist(), batch["wanted"].to_pylist()):
+        raw = (text or "").encode()
+        for w in wanted:
+            first, more = w["meta"] >> 18, (w["meta"] >> 10) & 255
+            numbers.append((w["key"], w["crowded"], rk, w["meta"]))
+            covers.append(raw[first : first + more + LENGTH])
+    return np.array(numbers, np.int64).reshape(-1, 4).T, covers
+
+
+_BUCKETED = "bucket int, n int, numbers binary, covers binary"
+
+
+def _bucket_rows(splitters: np.ndarray, loud_buckets: int):
+    """Suffixes by bucket of their leading token, those of a batch packed and compressed together.
+    Crowded tokens' windows go to buckets of their own, after the others, by their hash."""
+
+    def quiet(key, rk, meta, covers):
+        bucket = np.searchsorted(splitters, key, "right")
+        for own in _groups(bucket, key):
+            raw = b"".join([covers[i] for i in own])
+            yield int(bucket[own[0]]), len(own), squeeze(np.concatenate([key[own], rk[own], meta[own]])), zstandard.ZstdCompressor(level=3).compress(raw)
+
+    def loud(rk, meta, covers):
+        for lo in range(0, len(covers), 2048):
+            spans = SpanHash(np.frombuffer(b"".join(covers[lo : lo + 2048]), np.uint8))
+            which, _, at, nth = _windows(meta[lo : lo + 2048], covers[lo : lo + 2048])
+            whole = spans(at, at + LENGTH).view(np.int64)
+            start = (meta[lo : lo + 2048][which] >> 18) + nth
+            for settled in _settle(whole, np.zeros(len(whole), np.int64), rk[lo : lo + 2048][which], _pack(start, 0, 0, 0)):
+                columns = [settled[c].to_numpy() for c in ("key", "body", "rk", "meta")]
+                bucket = (columns[0].view(np.uint64) % np.uint64(loud_buckets)).astype(np.int64) + len(splitters) + 1
+                for own in _groups(bucket, columns[0]):
+                    yield int(bucket[own[0]]), len(own), squeeze(np.concatenate([c[own] for c in columns])), None
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            (key, crowded, rk, meta), covers = _covers(batch)
+            calm, rest = np.flatnonzero(crowded == 0), np.flatnonzero(crowded)
+            rows = [*quiet(key[calm], rk[calm], meta[calm], [covers[i] for i in calm]), *loud(rk[rest], meta[rest], [covers[i] for i in rest])]
+            columns = list(zip(*rows)) or [()] * 4
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int32(), pa.int32(), pa.binary(), pa.binary()))], ["bucket", "n", "numbers", "covers"])
+
+    return run
+
+
+def _groups(bucket: np.ndarray, key: np.ndarray) -> list[np.ndarray]:
+    """Element numbers by bucket, in the order of keys."""
+    order = np.lexsort((key, bucket))
+    return np.split(order, np.flatnonzero(np.diff(bucket[order])) + 1) if len(order) else []
 
 
 def _windows(metas: np.ndarray, covers: list[bytes]):
@@ -242,26 +286,34 @@ def multikey_ties(group: np.ndarray, keys: Iterator[np.ndarray]) -> np.ndarray:
     return left
 
 
-def _sort_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows come by leading token; groups are sorted some thousand covers at a time."""
-    carried = None
-    for batch in batches:
-        rows = [batch["key"].to_numpy(), batch["rk"].to_numpy(), batch["meta"].to_numpy(), batch["cover"].to_pylist()]
-        if carried is not None:
-            rows = [*(np.concatenate([a, b]) for a, b in zip(carried[:3], rows[:3])), carried[3] + rows[3]]
-        ready = int(np.searchsorted(rows[0], rows[0][-1])) if len(rows[0]) else 0
-        at = 0
-        while at < ready:
-            # As many whole groups as fit in about 4096 covers, one at least.
-            to = min(at + 4096, ready)
-            if to < ready:
-                whole = int(np.searchsorted(rows[0], rows[0][to]))
-                to = whole if whole > at else int(np.searchsorted(rows[0], rows[0][to], "right"))
-            yield _repeated_windows(*(r[at:to] for r in rows))
-            at = to
-        carried = [r[ready:] for r in rows]
-    if carried is not None and len(carried[0]):
-        yield _repeated_windows(*carried)
+def _sort_bucket(table: pa.Table) -> pa.Table:
+    """One bucket: its suffixes by leading token, whole groups compared some thousand at a time;
+    or windows of crowded tokens, compared by their hash."""
+    numbers, covers = [], []
+    if table["covers"].null_count:
+        packed = [swell(p, np.int64, 4 * n).reshape(4, n) for n, p in zip(table["n"].to_pylist(), table["numbers"].to_pylist())]
+        key, body, rk, meta = np.concatenate(packed, 1)
+        order = np.argsort(key, kind="stable")
+        return pa.Table.from_batches(list(_compared(key[order], body[order], rk[order], meta[order], set())))
+    for n, packed, raw in zip(table["n"].to_pylist(), table["numbers"].to_pylist(), table["covers"].to_pylist()):
+        numbers.append(swell(packed, np.int64, 3 * n).reshape(3, n))
+        length = LENGTH + ((numbers[-1][2] >> 10) & 255)
+        data = zstandard.ZstdDecompressor().decompress(raw, max_output_size=int(length.sum()))
+        ends = np.cumsum(length).tolist()
+        covers += [data[i:j] for i, j in zip([0, *ends], ends)]
+    key, rk, meta = np.concatenate(numbers, 1)
+    order = np.argsort(key, kind="stable")
+    key, rk, meta, covers = key[order], rk[order], meta[order], [covers[i] for i in order]
+    at, found = 0, []
+    while at < len(key):
+        # As many whole groups as fit in about 4096 covers, one at least.
+        to = min(at + 4096, len(key))
+        if to < len(key):
+            whole = int(np.searchsorted(key, key[to]))
+            to = whole if whole > at else int(np.searchsorted(key, key[to], "right"))
+        found.append(_repeated_windows(key[at:to], rk[at:to], meta[at:to], covers[at:to]))
+        at = to
+    return pa.Table.from_batches(found)
 
 
 def _repeated_windows(key, rk, meta, covers) -> pa.RecordBatch:
@@ -274,18 +326,6 @@ def _repeated_windows(key, rk, meta, covers) -> pa.RecordBatch:
     return _span_batch(rk[which[tied]], start, start + LENGTH)
 
 
-def _crowded_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Windows of crowded tokens as suffix rows of their own, keyed by all their bytes."""
-    for batch in batches:
-        rk, meta, covers = batch["rk"].to_numpy(), batch["meta"].to_numpy(), batch["cover"].to_pylist()
-        for lo in range(0, len(covers), 2048):
-            spans = SpanHash(np.frombuffer(b"".join(covers[lo : lo + 2048]), np.uint8))
-            which, _, at, nth = _windows(meta[lo : lo + 2048], covers[lo : lo + 2048])
-            whole = spans(at, at + LENGTH).view(np.int64)
-            start = (meta[lo : lo + 2048][which] >> 18) + nth
-            yield from _settle(whole, np.zeros(len(whole), np.int64), rk[lo : lo + 2048][which], _pack(start, 0, 0, 0))
-
-
 def repeated_spans(docs: DataFrame, crowd: int = CROWD) -> DataFrame:
     """(rk, spans) for the texts of ``docs(rk, text)`` that hold repeats; spans are
     (start, end) in bytes, unordered, and may overlap."""
@@ -295,14 +335,18 @@ def repeated_spans(docs: DataFrame, crowd: int = CROWD) -> DataFrame:
     is_span = F.col("meta").bitwiseAND(1) == 1
     as_span = lambda df: df.where(is_span).select("rk", F.shiftright("meta", 18).alias("start"), F.col("body").alias("end"))
 
-    wanted = compared.where(~is_span).groupBy("rk").agg(F.collect_set(F.struct("key", F.col("body").alias("crowded"), "meta")).alias("wanted"))
-    covers = docs.join(wanted, "rk").select("rk", "text", "wanted").mapInArrow(_fetch_rows, "key long, crowded long, rk long, meta long, cover binary")
-    quiet = covers.where("crowded = 0").repartitionByRange(shuffle_width(spark), "key").sortWithinPartitions("key")
-    edges = materialise(quiet.mapInArrow(_sort_buckets, _ROW), "edges")
-    found = as_span(compared).unionByName(as_span(edges))
-    if not compared.where(~is_span & (F.col("body") == 1)).isEmpty():
-        loud = covers.where("crowded = 1").mapInArrow(_crowded_windows, _ROW).repartition("key").sortWithinPartitions("key", "body")
-        found = found.unionByName(as_span(loud.mapInArrow(_comparer(crowd), _ROW)))
+    open_ = compared.where(~is_span)
+    quiet, loud = open_.agg(F.count_if(F.col("body") == 0), F.count_if(F.col("body") == 1)).first()
+    found = as_span(compared)
+    if quiet or loud:
+        # Sampled splitters: at most 50 keys a bucket come to the driver.
+        buckets = max(shuffle_width(spark), quiet // BUCKET)
+        drawn = open_.where(F.col("body") == 0).select("key").sample(min(1.0, 40 * buckets / max(quiet, 1)), seed=5).limit(50 * buckets).collect()
+        keys = np.sort(np.array([r["key"] for r in drawn], np.int64))
+        splitters = keys[np.arange(1, buckets) * len(keys) // buckets] if len(keys) else keys
+        wanted = open_.groupBy("rk").agg(F.collect_set(F.struct("key", F.col("body").alias("crowded"), "meta")).alias("wanted"))
+        dealt = docs.join(wanted, "rk").select("rk", "text", "wanted").mapInArrow(_bucket_rows(splitters, max(shuffle_width(spark), loud // BUCKET)), _BUCKETED)
+        found = found.unionByName(as_span(materialise(dealt.groupBy("bucket").applyInArrow(_sort_bucket, _ROW), "edges")))
     return found.groupBy("rk").agg(F.collect_set(F.struct("start", "end")).alias("spans"))
 
 

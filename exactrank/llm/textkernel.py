@@ -13,6 +13,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
 
 PIECE = 1 << 20
 SPACE = np.zeros(256, bool)
@@ -131,3 +132,16 @@ def in_window(rows: np.ndarray, n: int) -> np.ndarray:
     """Which windows of n consecutive elements lie within one row."""
     m = len(rows) - n + 1
     return rows[:m] == rows[n - 1 :] if m > 0 else np.zeros(0, bool)
+
+
+def squeeze(a: np.ndarray) -> bytes:
+    """An array by byte planes, compressed."""
+    a = np.ascontiguousarray(a)
+    return zstandard.ZstdCompressor(level=1).compress(a.view(np.uint8).reshape(len(a), -1).T.tobytes())
+
+
+def swell(data: bytes, kind, n: int) -> np.ndarray:
+    if not n:
+        return np.zeros(0, kind)
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data, max_output_size=n * np.dtype(kind).itemsize), np.uint8)
+    return np.ascontiguousarray(planes.reshape(-1, n).T).view(kind).ravel()
