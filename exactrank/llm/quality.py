@@ -161,7 +161,7 @@ def fit(rows: list, epochs: int = 60, rate: float = 0.15, decay: float = 1e-6) -
     def matrix(which: np.ndarray):
         own = [rows[i] for i in np.flatnonzero(which)]
         ids = [np.frombuffer(r["ids"], np.int32) for r in own]
-        row = np.repeat(np.arange(len(own)), [len(i) for i in ids])
+        row = np.repeat(np.arange(len(own), dtype=np.int32), [len(i) for i in ids])
         return np.concatenate(ids), np.concatenate([np.frombuffer(r["shares"], np.float32) for r in own]), row, len(own)
 
     w, b, seen, seen_b = np.zeros(1 << BITS), 0.0, np.full(1 << BITS, 1e-8), 1e-8
@@ -194,9 +194,16 @@ def fit(rows: list, epochs: int = 60, rate: float = 0.15, decay: float = 1e-6) -
     return Verdict(w.astype(np.float32), float(b), float(theta[0] / scale), float(theta[1]))
 
 
+def _fit_table(table: pa.Table) -> pa.Table:
+    verdict = fit(table.to_pylist())
+    rows = [] if verdict is None else [(verdict.weights.tobytes(), verdict.bias, verdict.slope, verdict.offset)]
+    columns = list(zip(*rows)) or [()] * 4
+    return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.binary(), *[pa.float64()] * 3))], ["weights", "bias", "slope", "offset"])
+
+
 def train(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -> Verdict | None:
-    """Fit on at most ``fit_rows`` labelled documents; that many ids are broadcast, and that
-    many feature rows come to the driver."""
+    """Fit on at most ``fit_rows`` labelled documents: that many ids are broadcast, that many
+    feature rows go to one task, and its weights (a fixed size) come to the driver."""
     chosen = (
         labels.where("quality IS NOT NULL AND doc_id IS NOT NULL")
         .groupBy("doc_id").agg(F.max("quality").alias("quality"))
@@ -204,8 +211,9 @@ def train(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -> Verdi
     )
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
     rows = sample.select("doc_id", "quality", "text").mapInArrow(_sample_features, "doc_id long, quality int, ids binary, shares binary")
-    # Repeated ids could bring more rows than labels: still no more than the bound.
-    return fit(rows.dropDuplicates(["doc_id"]).limit(fit_rows).collect())
+    # Repeated ids could bring more rows than labels: one of each is taken.
+    found = rows.dropDuplicates(["doc_id"]).groupBy(F.lit(0).alias("all")).applyInArrow(_fit_table, "weights binary, bias double, slope double, offset double").collect()
+    return Verdict(np.frombuffer(bytes(found[0]["weights"]), np.float32), found[0]["bias"], found[0]["slope"], found[0]["offset"]) if found else None
 
 
 _COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
