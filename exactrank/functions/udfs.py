@@ -9,6 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from exactrank.functions.kernels import quickselect
@@ -18,14 +19,14 @@ from exactrank.functions.summaries import BufferedSummary, RankSummary
 def clamp(low: float, high: float):
     """A scalar function that moves values into [low, high]."""
 
-    @pandas_udf("double")
+    @pandas_udf(T.DoubleType())
     def run(v: pd.Series) -> pd.Series:
         return v.clip(low, high)
 
     return run
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def group_median(v: pd.Series) -> float:
     """Discrete median of a group by selection; for groups that fit in a task."""
     a = v.dropna().to_numpy()
@@ -45,7 +46,7 @@ def summarise_groups(df: DataFrame, keys: list[str], col: str, eps: float) -> Da
     return df.select(*keys, col).groupBy(*keys).applyInArrow(run, schema)
 
 
-@udtf(returnType="v double, rank_low long, rank_high long")
+@udtf(returnType=T.StructType([T.StructField("v", T.DoubleType()), T.StructField("rank_low", T.LongType()), T.StructField("rank_high", T.LongType())]))
 class SummaryRows:
     """The tuples of a serialised summary with their rank bounds, as rows."""
 
