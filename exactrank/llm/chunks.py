@@ -2,45 +2,62 @@
 
 Tokenizer libraries spend most of their time on strings they have met before. A text is cut
 where no token can cross, each distinct chunk is encoded once by the library, and the chunks'
-ids are joined. The cache is bounded by its bytes and starts anew when full, so memory does
-not follow the input; results never depend on what is cached.
+ids are joined. The cache is bounded by its bytes, so memory does not follow the input; results never depend on what is cached.
 """
 
 from __future__ import annotations
 
 import os
 import re
+from array import array
 from collections.abc import Callable, Iterable
 
 import numpy as np
 
-CACHE_BYTES = 120_000_000
+CACHE_BYTES = 100_000_000
 #: What an entry takes beside its text and ids.
 _ENTRY = 200
 
 
+class Generations:
+    """A bounded cache in two generations: a full new one becomes the old one, and what is asked
+    for again moves back. Frequent entries stay, and at most twice ``limit`` bytes are held."""
+
+    def __init__(self, limit: int):
+        self.new: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+        self.size, self.limit = 0, limit
+
+    def look_up(self, names: list[str], make: Callable[[list[str]], Iterable[bytes]]) -> list[bytes]:
+        """The values of ``names``; ``make`` gives those of names not held."""
+        found = list(map(self.new.get, names))
+        if None not in found:
+            return found
+        missing = {n for n, v in zip(names, found) if v is None}
+        own = {n: v for n in missing if (v := self.old.get(n)) is not None}
+        fresh = [n for n in missing if n not in own]
+        own.update(zip(fresh, make(fresh)))
+        found = [own[n] if v is None else v for n, v in zip(names, found)]
+        if self.size > self.limit:
+            self.old, self.new, self.size = self.new, {}, 0
+        self.new |= own
+        self.size += sum(map(len, own)) + sum(map(len, own.values())) + _ENTRY * len(own)
+        return found
+
+
 class ChunkEncoder:
     """``split(text)`` gives chunks whose encodings join to that of the text; ``encode(list)``
-    gives ids for each of a list of chunks."""
+    gives for each of a list of chunks its ids, packed as little-endian unsigned 32-bit."""
 
-    def __init__(self, split: Callable[[str], list[str]], encode: Callable[[list[str]], Iterable], cache_bytes: int = CACHE_BYTES):
-        self.split, self.encode, self.limit = split, encode, cache_bytes
-        self.known: dict[str, bytes] = {}
-        self.size = 0
+    def __init__(self, split: Callable[[str], list[str]], encode: Callable[[list[str]], Iterable[bytes]], cache_bytes: int = CACHE_BYTES):
+        self.split, self.encode, self.cache = split, encode, Generations(cache_bytes)
 
     def __call__(self, text: str) -> np.ndarray:
-        chunks = self.split(text)
-        known = self.known
-        fresh = {c for c in chunks if c not in known}
-        if fresh:
-            if self.size > self.limit:
-                known.clear()
-                self.size, fresh = 0, set(chunks)
-            ordered = list(fresh)
-            for chunk, ids in zip(ordered, self.encode(ordered)):
-                known[chunk] = packed = np.asarray(ids, "<u4").tobytes()
-                self.size += len(chunk) + len(packed) + _ENTRY
-        return np.frombuffer(b"".join([known[c] for c in chunks]), "<u4")
+        return np.frombuffer(b"".join(self.cache.look_up(self.split(text), self.encode)), "<u4")
+
+    def forget(self) -> None:
+        """Let the chunks go: between tasks a worker holds the library's pieces at most."""
+        self.cache = Generations(self.cache.limit)
 
 
 _BETWEEN_WORDS = re.compile(r"(?<=\S)(?= \S)")
@@ -61,17 +78,60 @@ def split_before_single_spaces(text: str) -> list[str]:
     return [first, *[" " + r for r in rest]]
 
 
-_encoders: dict[str, ChunkEncoder] = {}
+# Fixed value: how the byte-level vocabulary's pattern cuts a text before any merge.
+PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
-def byte_bpe_encoder(path: str) -> ChunkEncoder:
-    """The tokenizers-library encoder of a byte-level BPE file, once for each Python worker.
-    Strings of special tokens are ordinary text."""
-    if path not in _encoders:
+def _visible_bytes() -> dict[int, int]:
+    """The byte-level alphabet: printable Latin-1 stands for itself, the rest from 256 on."""
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    hidden = [b for b in range(256) if b not in shown]
+    return {b: b for b in shown} | {b: 256 + i for i, b in enumerate(hidden)}
+
+
+class ByteLevelLibrary:
+    """The tokenizers library's model behind a cache of the pattern's pieces.
+
+    The library's own cutting and mapping of bytes costs more than its merges, so pieces are cut
+    and mapped here and only new ones are merged, by the library's model. Strings of special
+    tokens are ordinary text.
+    """
+
+    def __init__(self, path: str, cache_bytes: int = CACHE_BYTES):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
+        import regex
         from tokenizers import Tokenizer
 
-        library = Tokenizer.from_file(path)
-        library.encode_special_tokens = True
-        _encoders[path] = ChunkEncoder(split_before_single_spaces, lambda chunks: (e.ids for e in library.encode_batch_fast(chunks, add_special_tokens=False)))
+        self.model = Tokenizer.from_file(path).model
+        self.parts = regex.compile(PATTERN).findall
+        self.alphabet = _visible_bytes()
+        self.cache = Generations(cache_bytes)
+
+    def _learn(self, fresh: list[str]) -> list[bytes]:
+        merge, alphabet = self.model.tokenize, self.alphabet
+        return [array("I", [t.id for t in merge(p.encode().decode("latin-1").translate(alphabet))]).tobytes() for p in fresh]
+
+    def _cut(self, chunk: str) -> tuple[str, ...] | list[str]:
+        """The pattern's pieces of a chunk; words and words with one mark behind need no search."""
+        body = chunk[1:] if chunk[0] == " " else chunk
+        if body.isalpha():
+            return (chunk,)
+        if chunk[-1] in ",." and body[:-1].isalpha():
+            return (chunk[:-1], chunk[-1])
+        return self.parts(chunk)
+
+    def __call__(self, chunks: list[str]) -> list[bytes]:
+        parts = list(map(self._cut, chunks))
+        flat = [p for ps in parts for p in ps]
+        packed = iter(self.cache.look_up(flat, self._learn))
+        return [next(packed) if len(ps) == 1 else b"".join([next(packed) for _ in ps]) for ps in parts]
+
+
+_encoders: dict[str, ChunkEncoder] = {}
+
+
+def byte_bpe_encoder(path: str) -> ChunkEncoder:
+    """The encoder of a byte-level BPE file, made once in each Python worker."""
+    if path not in _encoders:
+        _encoders[path] = ChunkEncoder(split_before_single_spaces, ByteLevelLibrary(path))
     return _encoders[path]

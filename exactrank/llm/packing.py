@@ -54,13 +54,14 @@ def token_pieces(docs: DataFrame, tokenizer: str, end_id: int = END_ID, capacity
                 at = 0
                 for piece, length in enumerate(cut_lengths(len(ids), capacity)):
                     own = ids[at : at + length].tobytes()
-                    rows.append((doc, piece, at, length, zlib.crc32(own), own))
+                    rows.append((doc, piece, at, length, zlib.crc32(own), own if with_ids else None))
                     at += length
             columns = list(zip(*rows)) or [()] * 6
             kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
             names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"]
             keep = 6 if with_ids else 5
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in list(zip(columns, kinds))[:keep]], names[:keep])
+        encode.forget()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, _PIECES + (", ids binary" if with_ids else ""))
 

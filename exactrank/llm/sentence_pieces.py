@@ -196,7 +196,7 @@ class PieceCodec:
     def _encode(self, chunks: list[str]):
         # Chunks are normalised already, so the bare model takes them.
         bare = self._bare
-        return (e.ids for e in bare.encode_batch_fast(chunks, add_special_tokens=False))
+        return (np.asarray(e.ids, "<u4").tobytes() for e in bare.encode_batch_fast(chunks, add_special_tokens=False))
 
     @property
     def _bare(self):
