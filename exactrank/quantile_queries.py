@@ -16,7 +16,7 @@ from exactrank.plans.ledger import RunLedger
 from exactrank.plans.prune import prune_quantile
 from exactrank.plans.sqlscript import guided_sql, prune_sql
 from exactrank.plans.values import value_column
-from exactrank.sources.distributions import DISTRIBUTIONS, duckdb_sql
+from exactrank.sources.distributions import DISTRIBUTIONS, duckdb_sql, enlarged, uniform
 from exactrank.sources.tables import load
 
 QUERIES: dict = {}
@@ -217,6 +217,13 @@ for _name, _make in DISTRIBUTIONS.items():
     add(f"gen_{_name}", lambda s, d, m=_make: m(s, d).groupBy(F.floor(F.col("v") / 100_000_000).alias("band")).agg(F.count("*").alias("n"), F.sum("v").alias("total")),
         f"SELECT floor(v / 100000000)::BIGINT AS band, count(*) AS n, sum(v)::BIGINT AS total FROM ({duckdb_sql(_name)}) GROUP BY 1")
 
+# The experiment's axes: partitions (4 a node) and size.
+for _parts in (4, 12, 40, 120):
+    add(f"bench_parts_{_parts}", lambda s, d, p=_parts: guided_quantile(load(s, d, "lineitem", "l_extendedprice").repartition(p), "l_extendedprice", ["0.5", "0.99"]), disc(["0.5", "0.99"], "l_extendedprice", "lineitem"))
+for _times in (1, 10):
+    _source = f"(SELECT (v + 1000000000 + copy * 7368787) % 2000000000 - 1000000000 AS v FROM ({duckdb_sql('uniform')}), range({_times}) t(copy))"
+    add(f"bench_size_x{_times}", lambda s, d, t=_times: guided_quantile(enlarged(uniform(s, d), t), "v", ["0.5", "0.99"]), disc(["0.5", "0.99"], "v", _source))
+
 add("rank_of_value_price", lambda s, d: ranking.rank_of_value(load(s, d, "lineitem"), "l_extendedprice", 50000.0),
     "SELECT count(*) FILTER (l_extendedprice < 50000) AS below, count(*) FILTER (l_extendedprice = 50000) AS equal, count(*) AS n, count(*) FILTER (l_extendedprice <= 50000)::DOUBLE / count(*) AS cdf FROM lineitem")
 add("row_at_rank_orders", lambda s, d: ranking.row_at_rank(load(s, d, "orders", "o_orderkey", "o_totalprice"), ["o_totalprice", "o_orderkey"], 700),
