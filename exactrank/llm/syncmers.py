@@ -3,8 +3,8 @@
 A k-byte string is an anchor if the smallest hash of its inner s-byte strings is the first's
 or the last's. Whether it is one depends on nothing around it, so an edit moves only the
 anchors it touches. A fingerprint keeps the anchors of smallest hash with their byte
-positions; likeness counts shared anchors on the main diagonal (positions that differ by the
-same shift), as the share of the two texts that is alike.
+positions; likeness counts shared anchors on the longest chain that stands in the same order in
+both texts, however far edits before them shift it, as the share of the two texts that is alike.
 
 Documents meet their neighbour in one exchange of texts: doc_id is cut at sampled quantiles
 into bounded slices, and the first row of each slice also goes to the slice before it.
@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from bisect import bisect_left
 from collections.abc import Iterator
 
 import numpy as np
@@ -32,8 +33,6 @@ from exactrank.llm.textkernel import SpanHash, mix, pieces
 K, S = 16, 8
 #: Anchors that a fingerprint keeps: the likeness of 64 has a standard error of about 0.06.
 ANCHORS = 64
-#: Shifts this near to the median shift (bytes) are on the main diagonal.
-BAND = 256
 
 Sketch = tuple[np.ndarray, np.ndarray]
 
@@ -105,6 +104,15 @@ def from_string(fingerprint: str) -> Sketch:
     return both[: len(both) // 2], both[len(both) // 2 :]
 
 
+def _chain(p: np.ndarray, q: np.ndarray) -> int:
+    """Length of the longest chain of pairs of positions that rises in both."""
+    ends: list[int] = []  # the smallest last position of a chain of each length
+    for v in q[np.lexsort((-q.astype(np.int64), p))].tolist():
+        at = bisect_left(ends, v)
+        ends[at : at + 1] = [v]
+    return len(ends)
+
+
 def likeness(x: Sketch, y: Sketch, anchors: int = ANCHORS) -> float:
     """Share of the texts that is alike, 0 to 1, from the smallest hashes of both together."""
     (a, p), (b, q) = x, y
@@ -117,9 +125,7 @@ def likeness(x: Sketch, y: Sketch, anchors: int = ANCHORS) -> float:
     common, i, j = np.intersect1d(a[a <= last], b[b <= last], return_indices=True)
     if not len(common):
         return 0.0
-    shift = p[i].astype(np.int64) - q[j].astype(np.int64)
-    on = np.count_nonzero(np.abs(shift - np.median(shift)) <= BAND)
-    jaccard = on / len(both)
+    jaccard = _chain(p[i], q[j]) / len(both)
     return 2 * jaccard / (1 + jaccard)
 
 

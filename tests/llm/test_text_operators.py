@@ -86,3 +86,20 @@ def test_an_anchor_does_not_depend_on_its_surroundings():
     assert {h for p, h in zip(*syncmers.syncmers(a)) if p >= 7} == {h for p, h in zip(*syncmers.syncmers(b)) if p >= 15}
     s = syncmers.sketches([bytes(a)])[0]
     assert syncmers.likeness(s, syncmers.from_string(syncmers.to_string(s))) == 1
+
+
+def test_likeness_of_long_near_copies():
+    import random
+
+    draw = random.Random(1)
+    words = ["".join(draw.choices("abcdefghijklmnopqrstuvwxyz", k=draw.randint(2, 9))) for _ in range(40_000)]
+
+    def like(a, b):
+        return syncmers.likeness(*syncmers.sketches([" ".join(a).encode(), " ".join(b).encode()]))
+
+    for n in (1000, 10_000, 40_000):  # edits spread over the text
+        assert like(words[:n], [w for i, w in enumerate(words[:n]) if i % 50]) > 0.85, n
+    text, more = words[:2000], words[3000:3200]  # one paragraph of over 256 bytes set in the middle
+    assert like(text, text[:1000] + more + text[1000:]) > 0.85
+    assert like(text, text[1000:] + text[:1000]) < 0.75  # out of order: one half counts
+    assert like(text, words[5000:7000]) < 0.1
