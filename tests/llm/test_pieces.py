@@ -46,6 +46,20 @@ def test_query_and_edge_rows(spark, texts):
     assert counts[0] == 0 and counts[100] == 1 or counts[100] > 0
 
 
+def test_every_row_is_compared_with_the_reference(spark, texts, tmp_path):
+    schema = "doc_id long, text string"
+    rows = [(1, texts[0]), (51, None), (None, texts[1]), (50, "é"), (-3, ODD[4])]
+    assert [r["parity"] for r in sp.encode_documents(spark.createDataFrame(rows, schema), MODEL).collect()] == [True] * 5
+    # The reference takes a user-defined piece whole, the rebuilt tokenizer cannot: rows with it are flagged.
+    piece = b"qzjx"
+    message = bytes([0x0A, len(piece)]) + piece + bytes([0x15]) + bytes(4) + bytes([0x18, sp.USER_DEFINED])
+    with open(MODEL, "rb") as f:
+        (tmp_path / "more.model").write_bytes(f.read() + bytes([0x0A, len(message)]) + message)
+    rows = [(1, "some qzjx here"), (2, "some words"), (None, "qzjx")]
+    out = sp.encode_documents(spark.createDataFrame(rows, schema), str(tmp_path / "more.model")).collect()
+    assert {r["doc_id"]: r["parity"] for r in out} == {1: False, 2: True, None: False}
+
+
 def unigram(pieces, byte_fallback):
     vocab = [("<unk>", 0.0)] + ([(f"<0x{b:02X}>", 0.0) for b in range(256)] if byte_fallback else []) + list(pieces)
     return Tokenizer(models.Unigram(vocab, 0, byte_fallback))
