@@ -60,6 +60,7 @@ def compare(spark: SparkSession, copies: int, parts: int, distribution: str, q:
         "guided": lambda x: guided_quantile(df, "v", q, ledger=x), "stock_sketch": lambda x: df.approxQuantile("v", [float(q)], 1e-3),
         "native_sketch": lambda x: df.selectExpr(f"percentile_approx(v, {q}, 1000)").first(), "full_sort": lambda x: sort_quantile(df, "v", q, ledger=x),
         "prune": lambda x: prune_quantile(df, "v", q, gather="agg", ledger=x),
+        "prune_tree": lambda x: prune_quantile(df, "v", q, gather="tree", ledger=x), "prune_collect": lambda x: prune_quantile(df, "v", q, gather="collect", ledger=x),
     }
     for name, run in methods.items():
         run(RunLedger())

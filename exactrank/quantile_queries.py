@@ -214,13 +214,15 @@ for _name, _make in DISTRIBUTIONS.items():
         add(f"dist_{_name}_{_label}_guided", lambda s, d, m=_make, q=_qs: guided_quantile(m(s, d), "v", q), disc(_qs, "v", _source))
         add(f"dist_{_name}_{_label}_sort", lambda s, d, m=_make, q=_qs: sort_quantile(m(s, d), "v", q), disc(_qs, "v", _source))
         add(f"dist_{_name}_{_label}_prune", lambda s, d, m=_make, q=_qs: prune_quantile(m(s, d), "v", q, gather="agg"), disc(_qs, "v", _source))
+        for _gather in ("tree", "collect"):
+            add(f"dist_{_name}_{_label}_{_gather}_prune", lambda s, d, m=_make, q=_qs, g=_gather: prune_quantile(m(s, d), "v", q, gather=g), disc(_qs, "v", _source))
     add(f"gen_{_name}", lambda s, d, m=_make: m(s, d).groupBy(F.floor(F.col("v") / 100_000_000).alias("band")).agg(F.count("*").alias("n"), F.sum("v").alias("total")),
         f"SELECT floor(v / 100000000)::BIGINT AS band, count(*) AS n, sum(v)::BIGINT AS total FROM ({duckdb_sql(_name)}) GROUP BY 1")
 
 # The experiment's axes: partitions (4 a node) and size.
 for _parts in (4, 12, 40, 120):
     add(f"bench_parts_{_parts}", lambda s, d, p=_parts: guided_quantile(load(s, d, "lineitem", "l_extendedprice").repartition(p), "l_extendedprice", ["0.5", "0.99"]), disc(["0.5", "0.99"], "l_extendedprice", "lineitem"))
-for _times in (1, 10):
+for _times in (1, 10, 100):
     _source = f"(SELECT (v + 1000000000 + copy * 7368787) % 2000000000 - 1000000000 AS v FROM ({duckdb_sql('uniform')}), range({_times}) t(copy))"
     add(f"bench_size_x{_times}", lambda s, d, t=_times: guided_quantile(enlarged(uniform(s, d), t), "v", ["0.5", "0.99"]), disc(["0.5", "0.99"], "v", _source))
 

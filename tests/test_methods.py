@@ -184,3 +184,21 @@ def test_ranks(spark):
     df = spark.createDataFrame([(i * 37 % 101, i) for i in range(101)], "a int, b int")
     assert [r["rk"] for r in rank_all(df, ["a"], partitions=5).orderBy("a").collect()] == list(range(101))
     assert tuple(rank_of_value(df, "a", 10).first())[:3] == (10, 1, 101)
+
+
+def test_pruning_by_messages_on_the_distributions(spark):
+    import duckdb
+
+    from exactrank import catalog
+    from exactrank.sources.distributions import DISTRIBUTIONS
+
+    con = duckdb.connect()
+    for t in ("lineitem", "orders", "events"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '/root/testdata/sf0.001/{t}.parquet'")
+    names = [f"dist_{d}_{q}_{g}_prune" for d in DISTRIBUTIONS for q in ("p50", "p99") for g in ("tree", "collect")]
+    assert {*names, "bench_size_x100"} <= set(catalog.queries())
+    for name in ("dist_zipf_p50_tree_prune", "dist_uniform_p99_collect_prune"):
+        got = catalog.queries()[name](spark, "/root/testdata/sf0.001").collect()
+        cursor = con.execute(catalog.oracle_sql()[name])
+        columns = [c[0] for c in cursor.description]
+        assert [tuple(r[c] for c in columns) for r in got] == cursor.fetchall()
