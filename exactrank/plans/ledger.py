@@ -1,4 +1,5 @@
-"""Counted costs of a run: driver rounds, Spark jobs and stages, shuffles, persists, traffic."""
+"""Costs of a run: counted driver rounds, Spark jobs and stages; declared full shuffles and
+persists; traffic by formula."""
 
 from __future__ import annotations
 
