@@ -7,57 +7,92 @@ ids are joined. The cache is bounded by its bytes, so memory does not follow the
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import os
 import re
-from array import array
 from collections.abc import Callable, Iterable
 
 import numpy as np
+import pyarrow as pa
 
-CACHE_BYTES = 100_000_000
+#: What one generation of a worker's cache holds, as counted; two are alive at most.
+CACHE_BYTES = 60_000_000
 #: What an entry takes beside its text and ids.
 _ENTRY = 200
 
 
+def release_memory() -> None:
+    """Give what a task no longer holds back to the system: workers outlive their tasks, and an
+    executor counts the pages of all of them."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 class Generations:
     """A bounded cache in two generations: a full new one becomes the old one, and what is asked
     for again moves back. Frequent entries stay, and at most twice ``limit`` bytes are held."""
 
     def __init__(self, limit: int):
+        self.limit = limit
+        self.clear()
+
+    def clear(self) -> None:
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
-        self.size, self.limit = 0, limit
+        self.size = 0
+
+    def get(self, name: str) -> bytes | None:
+        found = self.new.get(name)
+        return self.old.get(name) if found is None else found
+
+    def put(self, entries: dict[str, bytes]) -> None:
+        if self.size > self.limit:
+            self.old, self.new, self.size = self.new, {}, 0
+        self.new |= entries
+        self.size += sum(map(len, entries)) + sum(map(len, entries.values())) + _ENTRY * len(entries)
 
     def look_up(self, names: list[str], make: Callable[[list[str]], Iterable[bytes]]) -> list[bytes]:
         """The values of ``names``; ``make`` gives those of names not held."""
         found = list(map(self.new.get, names))
         if None not in found:
             return found
-        missing = {n for n, v in zip(names, found) if v is None}
-        own = {n: v for n in missing if (v := self.old.get(n)) is not None}
-        fresh = [n for n in missing if n not in own]
-        own.update(zip(fresh, make(fresh)))
-        found = [own[n] if v is None else v for n, v in zip(names, found)]
-        if self.size > self.limit:
-            self.old, self.new, self.size = self.new, {}, 0
-        self.new |= own
-        self.size += sum(map(len, own)) + sum(map(len, own.values())) + _ENTRY * len(own)
-        return found
+        own: dict[str, bytes] = {}
+        fresh: dict[str, None] = {}
+        for n, v in zip(names, found):
+            if v is None:
+                v = self.old.get(n)
+                if v is None:
+                    fresh[n] = None
+                else:
+                    own[n] = v
+        own.update(zip(fresh, make(list(fresh))))
+        self.put(own)
+        return [own[n] if v is None else v for n, v in zip(names, found)]
 
 
 class ChunkEncoder:
     """``split(text)`` gives chunks whose encodings join to that of the text; ``encode(list)``
-    gives for each of a list of chunks its ids, packed as little-endian unsigned 32-bit."""
+    gives for each of a list of chunks its ids, packed as little-endian unsigned 32-bit. A text
+    with one of the strings ``apart`` in it goes to ``whole`` instead, uncut."""
 
-    def __init__(self, split: Callable[[str], list[str]], encode: Callable[[list[str]], Iterable[bytes]], cache_bytes: int = CACHE_BYTES):
-        self.split, self.encode, self.cache = split, encode, Generations(cache_bytes)
+    def __init__(self, split: Callable[[str], list[str]], encode: Callable[[list[str]], Iterable[bytes]], cache: Generations | None = None, apart: Iterable[str] = (), whole: Callable[[str], list[int]] | None = None):
+        self.split, self.encode, self.cache = split, encode, cache or Generations(CACHE_BYTES)
+        self.apart, self.whole = tuple(apart), whole
 
     def __call__(self, text: str) -> np.ndarray:
+        if self.whole is not None and any(a in text for a in self.apart):
+            return np.array(self.whole(text), "<u4")
         return np.frombuffer(b"".join(self.cache.look_up(self.split(text), self.encode)), "<u4")
 
     def forget(self) -> None:
-        """Let the chunks go: between tasks a worker holds the library's pieces at most."""
-        self.cache = Generations(self.cache.limit)
+        """Let all chunks go: between tasks a worker holds the library's model only."""
+        self.cache.clear()
+        release_memory()
 
 
 _BETWEEN_WORDS = re.compile(r"(?<=\S)(?= \S)")
@@ -90,41 +125,56 @@ def _visible_bytes() -> dict[int, int]:
 
 
 class ByteLevelLibrary:
-    """The tokenizers library's model behind a cache of the pattern's pieces.
+    """The tokenizers library's model over the pattern's pieces.
 
     The library's own cutting and mapping of bytes costs more than its merges, so pieces are cut
-    and mapped here and only new ones are merged, by the library's model. Strings of special
-    tokens are ordinary text.
+    and mapped here and only new ones are merged, by the library's model. Chunks and pieces
+    share one cache: a piece alone is a chunk with the same ids. Texts that hold an added token
+    (the file's special strings) are left to the library whole.
     """
 
-    def __init__(self, path: str, cache_bytes: int = CACHE_BYTES):
+    def __init__(self, path: str, cache: Generations):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         import regex
         from tokenizers import Tokenizer
 
-        self.model = Tokenizer.from_file(path).model
+        self.library, self.cache = Tokenizer.from_file(path), cache
+        self.model = self.library.model
+        self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
         self.parts = regex.compile(PATTERN).findall
         self.alphabet = _visible_bytes()
-        self.cache = Generations(cache_bytes)
+        self.packed = [i.to_bytes(4, "little") for i in range(self.library.get_vocab_size())]
+
+    def whole(self, text: str) -> list[int]:
+        return self.library.encode(text, add_special_tokens=False).ids
 
-    def _learn(self, fresh: list[str]) -> list[bytes]:
-        merge, alphabet = self.model.tokenize, self.alphabet
-        return [array("I", [t.id for t in merge(p.encode().decode("latin-1").translate(alphabet))]).tobytes() for p in fresh]
+    def _piece(self, piece: str) -> bytes:
+        if piece.isascii() and piece[1:].isalpha() and piece[0] == " ":
+            shown = "Ġ" + piece[1:]  # the alphabet's sign for a space
+        else:
+            shown = piece.encode().decode("latin-1").translate(self.alphabet)
+        packed = self.packed
+        return b"".join([packed[t.id] for t in self.model.tokenize(shown)])
 
-    def _cut(self, chunk: str) -> tuple[str, ...] | list[str]:
-        """The pattern's pieces of a chunk; words and words with one mark behind need no search."""
+    def _chunk(self, chunk: str, own: dict[str, bytes]) -> bytes:
+        """A chunk is the pattern's pieces; words and words with one mark behind need no search."""
         body = chunk[1:] if chunk[0] == " " else chunk
         if body.isalpha():
-            return (chunk,)
-        if chunk[-1] in ",." and body[:-1].isalpha():
-            return (chunk[:-1], chunk[-1])
-        return self.parts(chunk)
+            return self._piece(chunk)
+        parts = (chunk[:-1], chunk[-1]) if chunk[-1] in ",." and body[:-1].isalpha() else self.parts(chunk)
+        out = []
+        for p in parts:
+            ids = own.get(p) or self.cache.get(p)
+            if ids is None:
+                ids = own[p] = self._piece(p)
+            out.append(ids)
+        return b"".join(out)
 
     def __call__(self, chunks: list[str]) -> list[bytes]:
-        parts = list(map(self._cut, chunks))
-        flat = [p for ps in parts for p in ps]
-        packed = iter(self.cache.look_up(flat, self._learn))
-        return [next(packed) if len(ps) == 1 else b"".join([next(packed) for _ in ps]) for ps in parts]
+        own: dict[str, bytes] = {}
+        found = [self._chunk(c, own) for c in chunks]
+        self.cache.put(own)
+        return found
 
 
 _encoders: dict[str, ChunkEncoder] = {}
@@ -133,5 +183,7 @@ _encoders: dict[str, ChunkEncoder] = {}
 def byte_bpe_encoder(path: str) -> ChunkEncoder:
     """The encoder of a byte-level BPE file, made once in each Python worker."""
     if path not in _encoders:
-        _encoders[path] = ChunkEncoder(split_before_single_spaces, ByteLevelLibrary(path))
+        cache = Generations(CACHE_BYTES)
+        library = ByteLevelLibrary(path, cache)
+        _encoders[path] = ChunkEncoder(split_before_single_spaces, library, cache, library.added, library.whole)
     return _encoders[path]

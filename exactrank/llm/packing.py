@@ -4,9 +4,9 @@ Every document is cut into full pieces and at most one shorter one, so packing n
 many pieces there are of each length: at most ``capacity`` numbers, however large the corpus.
 The driver plans on these counts. A plan is a list of patterns, each with how many sequences
 use it; the longest length in stock is completed by a single length, a pair or a triple that
-fills its gap exactly, found by index on sums and taken as often as stock allows; what has no
-exact complement is placed by best fit. Pieces are then numbered within their length, and a
-number's sequence and offset follow from the plan by binary search.
+fills its gap exactly, looked up in an index of sums and taken as often as stock allows; what
+has no exact complement is placed by best fit over open sequences. Pieces are then numbered
+within their length, and a number's sequence and offset follow from the plan by binary search.
 
 Defined results: a null text is empty (one piece, the end token); repeated rows are packed
 each; an empty table gives no rows; null doc_ids are packed like others; extra columns are
@@ -16,7 +16,7 @@ ignored.
 from __future__ import annotations
 
 import zlib
-from bisect import bisect_right
+from bisect import bisect_left, insort
 from collections.abc import Iterator
 
 import numpy as np
@@ -66,91 +66,129 @@ def token_pieces(docs: DataFrame, tokenizer: str, end_id: int = END_ID, capacity
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, _PIECES + (", ids binary" if with_ids else ""))
 
 
-class _Stock:
-    """Counts by length, with the lengths still in stock in order."""
+class SumIndex:
+    """Which singles, pairs and triples of lengths in stock add up to a sum, longest part first.
 
-    def __init__(self, counts: dict[int, int]):
+    Pairs are listed under their sum; a triple is a length and a pair listed under the rest.
+    Stock only shrinks, and a gap always stands beside the same length, so a combination that
+    is short once stays short: each sum keeps a place in its list and never looks back.
+    """
+
+    def __init__(self, counts: dict[int, int], capacity: int):
         self.left = {n: c for n, c in counts.items() if c > 0}
-        self.lengths = sorted(self.left)
+        self.capacity = capacity
+        lengths = np.array(sorted(self.left, reverse=True), np.int64)
+        a, b = (lengths[i] for i in np.triu_indices(len(lengths)))
+        fits = a + b <= capacity
+        a, b = a[fits], b[fits]
+        order = np.lexsort((-a, a + b))
+        a, b = a[order], b[order]
+        cuts = np.searchsorted(a + b, np.arange(capacity + 2))
+        self.lengths = lengths.tolist()
+        self.pairs = {s: list(zip(a[i:j].tolist(), b[i:j].tolist())) for s, (i, j) in enumerate(zip(cuts, cuts[1:])) if j > i}
+        self._pair_at: dict[int, int] = {}
+        self._triples: dict[int, Iterator[tuple[int, int, int]]] = {}
+        self._triple: dict[int, tuple[int, int, int] | None] = {}
 
     def take(self, pattern: tuple[int, ...], times: int) -> None:
         for n in pattern:
             self.left[n] -= times
             if not self.left[n]:
                 del self.left[n]
-                self.lengths.remove(n)
 
     def times(self, pattern: tuple[int, ...]) -> int:
         """How often a pattern can be taken whole."""
         return min(self.left.get(n, 0) // pattern.count(n) for n in set(pattern))
 
-
-def _exact_complement(stock: _Stock, first: int, gap: int) -> tuple[int, ...] | None:
-    """The single, pair or triple in stock that fills the gap beside ``first``, longest first."""
-    have = stock.left
-
-    def enough(*parts: int) -> bool:
-        whole = (first, *parts)
-        return all(have.get(n, 0) >= whole.count(n) for n in set(parts))
-
-    if enough(gap):
-        return (gap,)
-    lengths = stock.lengths
-    for a in reversed(lengths[: bisect_right(lengths, gap - 1)]):
-        if 2 * a < gap:
-            break
-        if enough(a, gap - a):
-            return (a, gap - a)
-    for a in reversed(lengths[: bisect_right(lengths, gap - 2)]):
-        if 3 * a < gap:
-            break
-        rest = gap - a
-        for b in reversed(lengths[: bisect_right(lengths, min(a, rest - 1))]):
-            if 2 * b < rest:
+    def _triples_of(self, total: int) -> Iterator[tuple[int, int, int]]:
+        for a in self.lengths:
+            if 3 * a < total:
+                return
+            if a in self.left:
+                for b, c in self.pairs.get(total - a, ()):
+                    if b <= a:
+                        yield a, b, c
+
+    def complement(self, first: int) -> tuple[int, ...] | None:
+        """What fills the gap beside ``first`` exactly."""
+        gap = self.capacity - first
+        if self.times((first, gap)):
+            return (gap,)
+        pairs, at = self.pairs.get(gap, ()), self._pair_at.get(gap, 0)
+        while at < len(pairs) and not self.times((first, *pairs[at])):
+            at += 1
+        self._pair_at[gap] = at
+        if at < len(pairs):
+            return pairs[at]
+        if gap not in self._triples:
+            self._triples[gap] = self._triples_of(gap)
+            self._triple[gap] = next(self._triples[gap], None)
+        while (found := self._triple[gap]) is not None and not self.times((first, *found)):
+            self._triple[gap] = next(self._triples[gap], None)
+        return found
+
+
+def best_fit(counts: dict[int, int], capacity: int) -> list[tuple[tuple[int, ...], int]]:
+    """Best fit in decreasing length over open sequences, many equal ones at a time: each piece
+    goes where the least room is left, a new sequence opens only if none has room."""
+    open_: dict[int, dict[tuple[int, ...], int]] = {}  # by room left: pattern, how many sequences
+    rooms: list[int] = []  # in order
+
+    def put(room: int, pattern: tuple[int, ...], times: int) -> None:
+        if room not in open_:
+            open_[room] = {}
+            insort(rooms, room)
+        open_[room][pattern] = open_[room].get(pattern, 0) + times
+
+    for n in sorted(counts, reverse=True):
+        rest = counts[n]
+        while rest:
+            i = bisect_left(rooms, n)
+            if i == len(rooms):
                 break
-            if enough(a, b, rest - b):
-                return (a, b, rest - b)
-    return None
+            room = rooms[i]
+            pattern, have = open_[room].popitem()
+            if not open_[room]:
+                del open_[room], rooms[i]
+            # A sequence that takes one piece has the least room again, until it is full.
+            each = min(room // n, rest)
+            used = min(have, rest // each)
+            rest -= used * each
+            put(room - each * n, pattern + (n,) * each, used)
+            if have > used:
+                put(room, pattern, have - used)
+        per = capacity // n
+        if rest // per:
+            put(capacity - per * n, (n,) * per, rest // per)
+        if rest % per:
+            put(capacity - rest % per * n, (n,) * (rest % per), 1)
+    return [(pattern, times) for room in rooms for pattern, times in open_[room].items()]
 
 
 def plan_packing(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tuple[int, ...], int]]:
     """(lengths in a sequence, number of such sequences), using each piece once.
 
     Work depends on the number of distinct lengths, not of pieces: each step takes its pattern
-    as often as stock allows, which uses up a length.
+    as often as stock allows, which uses up a length. What has no exact complement left is
+    placed by best fit.
     """
-    stock, plan = _Stock(counts), []
-    if capacity in stock.left:
-        plan.append(((capacity,), stock.left[capacity]))
-        stock.take((capacity,), stock.left[capacity])
-    lonely: set[int] = set()
-    while stock.lengths:
-        first = next((n for n in reversed(stock.lengths) if n not in lonely), None)
-        if first is None:
-            break
-        found = _exact_complement(stock, first, capacity - first)
-        if found is None:
-            lonely.add(first)
-            continue
-        pattern = (first, *found)
-        times = stock.times(pattern)
-        plan.append((pattern, times))
-        stock.take(pattern, times)
-    # Residuals: the longest opens a sequence, the longest that still fits follows, again and again.
-    while stock.lengths:
-        pattern, gap, rest = [], capacity, dict(stock.left)
-        lengths = list(stock.lengths)
-        while (i := bisect_right(lengths, gap)) > 0:
-            n = lengths[i - 1]
-            pattern.append(n)
-            gap -= n
-            rest[n] -= 1
-            if not rest[n]:
-                lengths.pop(i - 1)
-        times = stock.times(tuple(pattern))
-        plan.append((tuple(pattern), times))
-        stock.take(tuple(pattern), times)
-    return plan
+    full, index = counts.get(capacity, 0), SumIndex({n: c for n, c in counts.items() if n < capacity}, capacity)
+    plan = [((capacity,), full)] if full else []
+    residual: dict[int, int] = {}
+    for first in index.lengths:
+        while first in index.left:
+            found = index.complement(first)
+            if found is None:
+                # Shorter lengths may still want this one as a part, but each such pattern would
+                # have been found from here.
+                residual[first] = index.left[first]
+                index.take((first,), index.left[first])
+                break
+            pattern = (first, *found)
+            times = index.times(pattern)
+            plan.append((pattern, times))
+            index.take(pattern, times)
+    return plan + best_fit(residual, capacity)
 
 
 def placements(plan: list[tuple[tuple[int, ...], int]]) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:

@@ -26,13 +26,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from exactrank.llm.chunks import ChunkEncoder
+from exactrank.llm.chunks import ChunkEncoder, Generations
 from exactrank.llm.common import documents
 
 METASPACE = "▁"
 # Fixed values of the public format: piece types and model types.
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
+#: One generation of a worker's cache of chunks.
+CACHE_BYTES = 100_000_000
 
 
 def _fields(data: bytes) -> Iterator[tuple[int, object]]:
@@ -155,7 +157,8 @@ def rebuild(model: PieceModel):
     if model.escape_spaces:
         steps.append(normalizers.Replace(" ", METASPACE))
     out.normalizer = normalizers.Sequence(steps)
-    parts = [decoders.Replace(METASPACE, " ")]
+    # Only turns markers into spaces; dropping the first one is a step of its own below.
+    parts = [decoders.Metaspace(METASPACE, prepend_scheme="never")]
     if model.byte_fallback:
         parts.append(decoders.ByteFallback())
     parts.append(decoders.Fuse())
@@ -175,10 +178,11 @@ class PieceCodec:
         self.model = model
         self.tokenizer = rebuild(model)
         self.normalizer, self._core = self.tokenizer.normalizer, self.tokenizer.model
+        self._packed = [i.to_bytes(4, "little") for i in range(len(model.pieces))]
         # The cut is exact only if no piece has a metaspace after another character.
         whole = any(METASPACE in p.lstrip(METASPACE) for p, _, t in model.pieces if t == NORMAL)
         self.simple = not model.charsmap and not model.collapse_spaces and model.add_prefix and model.escape_spaces
-        self.encode_text = ChunkEncoder((lambda t: [t] if t else []) if whole else self._chunks, self._encode)
+        self.encode_text = ChunkEncoder((lambda t: [t] if t else []) if whole else self._chunks, self._encode, Generations(CACHE_BYTES))
 
     def _chunks(self, text: str) -> list[str]:
         if not text:
@@ -194,23 +198,11 @@ class PieceCodec:
     def _encode(self, chunks: list[str]) -> list[bytes]:
         # Chunks are normalised already, so the bare model takes them; a batch of the library's
         # whole tokenizer costs two to six times the CPU on such short strings.
-        merge = self._core.tokenize
-        return [np.array([t.id for t in merge(c)], "<u4").tobytes() for c in chunks]
+        merge, packed = self._core.tokenize, self._packed
+        return [b"".join([packed[t.id] for t in merge(c)]) for c in chunks]
 
-    def decode(self, ids) -> str:
-        return self.tokenizer.decode(ids if isinstance(ids, list) else list(map(int, ids)), skip_special_tokens=False)
-
-    def piece_bytes(self) -> list[bytes]:
-        """The bytes each id decodes to, the marker as a space."""
-        if not hasattr(self, "_bytes"):
-            self._bytes = [bytes([int(p[3:5], 16)]) if t == BYTE else p.replace(METASPACE, " ").encode() for p, _, t in self.model.pieces]
-        return self._bytes
-
-    def decode_fast(self, ids: np.ndarray) -> str:
-        """As ``decode`` wherever the ids' bytes are valid UTF-8, which an encoder's ids are."""
-        table = self.piece_bytes()
-        text = b"".join([table[i] for i in ids.tolist()]).decode("utf-8", "replace")
-        return text[1:] if self.model.add_prefix and text.startswith(" ") else text
+    def decode(self, ids: list[int]) -> str:
+        return self.tokenizer.decode(ids, skip_special_tokens=False)
 
 
 _codecs: dict[str, PieceCodec] = {}
@@ -237,9 +229,9 @@ def encode_documents(docs: DataFrame, model: str, with_ids: bool = False) -> Dat
             for doc, text in zip(batch["doc_id"].to_pylist(), batch["text"].to_pylist()):
                 text = text or ""
                 ids = own.encode_text(text)
-                decoded = own.decode_fast(ids)
                 listed = ids.tolist()
-                parity = reference.encode(text) == listed and reference.decode(listed) == decoded == own.decode(listed)
+                decoded = own.decode(listed)
+                parity = reference.encode(text) == listed and reference.decode(listed) == decoded
                 packed = ids.astype("<u4").tobytes()
                 rows.append((doc, len(ids), zlib.crc32(packed), zlib.crc32(decoded.encode()), decoded == text, parity, packed))
             kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.bool_(), pa.binary()]
@@ -247,6 +239,7 @@ def encode_documents(docs: DataFrame, model: str, with_ids: bool = False) -> Dat
             keep = 7 if with_ids else 6
             columns = list(zip(*rows)) or [()] * 7
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in list(zip(columns, kinds))[:keep]], names[:keep])
+        own.encode_text.forget()
 
     schema = "doc_id long, n_ids long, ids_crc32 long, decoded_crc32 long, round_trip boolean, parity boolean"
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, schema + (", ids binary" if with_ids else ""))
@@ -258,7 +251,7 @@ def decode_documents(encoded: DataFrame, model: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(model)
         for batch in batches:
-            texts = [own.decode_fast(np.frombuffer(ids or b"", "<u4")) for ids in batch["ids"].to_pylist()]
+            texts = [own.decode(np.frombuffer(ids or b"", "<u4").tolist()) for ids in batch["ids"].to_pylist()]
             yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(texts, pa.string())], ["doc_id", "text"])
 
     return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
