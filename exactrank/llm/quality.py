@@ -1,7 +1,7 @@
 """Quality rules: counted rules beside a hashed n-gram classifier.
 
-The classifier is a logistic regression on hashed words and byte 3- and 4-grams (each as a
-share of its kind), fitted on labelled quality rows, its scores calibrated on rows kept apart,
+The classifier is a logistic regression on hashed words, word pairs and 3- and 4-grams of code
+points (each as a share of its kind), fitted on labelled quality rows, its scores calibrated on rows kept apart,
 and applied in Arrow batches against a fixed threshold. Training reads at most ``FIT_ROWS``
 labelled documents (those of smallest id hash, the same in each run); scoring reads all.
 
@@ -21,12 +21,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from exactrank.llm.chunks import release_memory
 from exactrank.llm.common import documents
 from exactrank.llm.textkernel import IN_WORD, SpanHash, in_window, mix, ngram_hash, owner, per_text, pieces, text_buffer, word_bounds
 
 #: Labelled documents that the classifier is fitted on at most (a fifth of them calibrates).
 FIT_ROWS = 3000
 BITS = 18
+#: Features that the fit works on at a time.
+FIT_BLOCK = 250_000
 #: A document is kept from this calibrated probability of good quality on.
 THRESHOLD = 0.5
 WINDOW = 5
@@ -52,20 +55,39 @@ class Verdict:
         return 1 / (1 + np.exp(-np.clip(self.slope * (score + self.bias) + self.offset, -40, 40)))
 
 
+def code_points(data: np.ndarray) -> np.ndarray:
+    """The code points of valid UTF-8 bytes."""
+    if not len(data) or data.max() < 0x80:
+        return data.astype(np.uint64)
+    at = np.flatnonzero(_LEADS[data])
+    first = data[at].astype(np.uint64)
+    size = np.diff(np.append(at, len(data)))
+    point = np.where(size > 1, first & ((np.uint64(1) << (np.uint64(7) - size.astype(np.uint64).clip(max=4))) - np.uint64(1)), first)
+    for i in range(1, 4):
+        more = size > i
+        point[more] = (point[more] << np.uint64(6)) | (data[at[more] + i] & 0x3F)
+    return point
+
+
 def features(data: np.ndarray, offs: np.ndarray, spans: SpanHash, bounds) -> list[tuple[np.ndarray, np.ndarray]]:
-    """(hashed feature, text) of every occurrence, one pair of arrays for each kind."""
+    """(hashed feature, text) of every occurrence, one pair of arrays for each kind: words, pairs
+    of neighbouring words, 3- and 4-grams of code points."""
     starts, ends, cuts = bounds
-    found = [((mix(spans(starts, ends)) >> _SHIFT).astype(np.int64), owner(cuts))]
-    wide = data.astype(np.uint64)
-    rows = owner(offs)
+    words, rows = spans(starts, ends), owner(cuts)
+    found = [((mix(words) >> _SHIFT).astype(np.int64), rows)]
+    inside = in_window(rows, 2)
+    found.append(((mix(ngram_hash(words, 2) + np.uint64(0x9216D5D9)) >> _SHIFT).astype(np.int64)[inside], rows[: len(inside)][inside]))
+    points = code_points(data)
+    before = np.concatenate([[0], np.cumsum(_LEADS[data])])
+    rows = owner(before[offs])
     for n, seed in ((3, 0x51ED270B), (4, 0x2545F491)):
-        m = len(data) - n + 1
+        m = len(points) - n + 1
         if m <= 0:
             found.append((np.zeros(0, np.int64), np.zeros(0, np.int64)))
             continue
         gram = np.full(m, seed, np.uint64)
         for i in range(n):
-            gram = (gram << np.uint64(8)) | wide[i : i + m]
+            gram = gram * np.uint64(0x9E3779B97F4A7C15) + points[i : i + m]
         inside = in_window(rows, n)
         found.append(((mix(gram) >> _SHIFT).astype(np.int64)[inside], rows[:m][inside]))
     return found
@@ -158,29 +180,44 @@ def fit(rows: list, epochs: int = 60, rate: float = 0.15, decay: float = 1e-6) -
         return None
     apart = np.arange(len(rows)) % 5 == 4
 
-    def matrix(which: np.ndarray):
-        own = [rows[i] for i in np.flatnonzero(which)]
-        ids = [np.frombuffer(r["ids"], np.int32) for r in own]
-        row = np.repeat(np.arange(len(own), dtype=np.int32), [len(i) for i in ids])
-        return np.concatenate(ids), np.concatenate([np.frombuffer(r["shares"], np.float32) for r in own]), row, len(own)
+    def blocks(which: np.ndarray) -> list[tuple]:
+        """(ids, shares, rows) of some rows at a time, so that the working arrays stay small."""
+        own, out, at = [rows[i] for i in np.flatnonzero(which)], [], 0
+        while at < len(own):
+            to, size = at, 0
+            while to < len(own) and (to == at or size < FIT_BLOCK):
+                size += len(own[to]["ids"]) // 4
+                to += 1
+            ids = [np.frombuffer(r["ids"], np.int32) for r in own[at:to]]
+            row = np.repeat(np.arange(at, to, dtype=np.int32), [len(i) for i in ids])
+            out.append((np.concatenate(ids), np.concatenate([np.frombuffer(r["shares"], np.float32) for r in own[at:to]]), row))
+            at = to
+        return out
+
+    def linear(parts: list[tuple], n: int) -> np.ndarray:
+        z = np.full(n, b)
+        for ids, v, row in parts:
+            z += np.bincount(row, weights=w[ids] * v, minlength=n)
+        return z
 
     w, b, seen, seen_b = np.zeros(1 << BITS), 0.0, np.full(1 << BITS, 1e-8), 1e-8
-    ids, v, row, n = matrix(~apart)
-    target = y[~apart]
+    parts, target = blocks(~apart), y[~apart]
+    n = len(target)
     # Both kinds weigh alike, however rare one is.
     weigh = np.where(target > 0, 0.5 / max(target.mean(), 1e-9), 0.5 / max(1 - target.mean(), 1e-9))
     for _ in range(epochs):
-        z = np.bincount(row, weights=w[ids] * v, minlength=n) + b
-        g = weigh * (1 / (1 + np.exp(-np.clip(z, -40, 40))) - target) / n
-        gw = np.bincount(ids, weights=g[row] * v, minlength=1 << BITS) + decay * w
+        g = weigh * (1 / (1 + np.exp(-np.clip(linear(parts, n), -40, 40))) - target) / n
+        gw = decay * w
+        for ids, v, row in parts:
+            gw += np.bincount(ids, weights=g[row] * v, minlength=1 << BITS)
         gb = g.sum()
         seen += gw * gw
         seen_b += gb * gb
         w -= rate * 20 * gw / np.sqrt(seen)
         b -= rate * gb / np.sqrt(seen_b)
-    ids, v, row, n = matrix(apart) if apart.any() else (ids, v, row, n)
-    held = y[apart] if apart.any() else target
-    z = np.bincount(row, weights=w[ids] * v, minlength=n) + b
+    parts, held = (blocks(apart), y[apart]) if apart.any() else (parts, target)
+    n = len(held)
+    z = linear(parts, n)
     scale = max(np.abs(z).mean(), 1e-9)
     # Newton steps on (slope, offset); targets are smoothed so that separable scores stay finite.
     up, down = held.sum(), len(held) - held.sum()
@@ -196,6 +233,8 @@ def fit(rows: list, epochs: int = 60, rate: float = 0.15, decay: float = 1e-6) -
 
 def _fit_table(table: pa.Table) -> pa.Table:
     verdict = fit(table.to_pylist())
+    del table
+    release_memory()
     rows = [] if verdict is None else [(verdict.weights.tobytes(), verdict.bias, verdict.slope, verdict.offset)]
     columns = list(zip(*rows)) or [()] * 4
     return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.binary(), *[pa.float64()] * 3))], ["weights", "bias", "slope", "offset"])
@@ -209,10 +248,10 @@ def train(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -> Verdi
         .groupBy("doc_id").agg(F.max("quality").alias("quality"))
         .orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows)
     )
-    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    # Repeated ids could bring more rows than labels: the least text of each is taken.
+    sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.max("quality").alias("quality"), F.min("text").alias("text"))
     rows = sample.select("doc_id", "quality", "text").mapInArrow(_sample_features, "doc_id long, quality int, ids binary, shares binary")
-    # Repeated ids could bring more rows than labels: one of each is taken.
-    found = rows.dropDuplicates(["doc_id"]).groupBy(F.lit(0).alias("all")).applyInArrow(_fit_table, "weights binary, bias double, slope double, offset double").collect()
+    found = rows.groupBy(F.lit(0).alias("all")).applyInArrow(_fit_table, "weights binary, bias double, slope double, offset double").collect()
     return Verdict(np.frombuffer(bytes(found[0]["weights"]), np.float32), found[0]["bias"], found[0]["slope"], found[0]["offset"]) if found else None
 
 
