@@ -6,12 +6,15 @@ import uuid
 
 from pyspark.sql import SparkSession
 
-#: Used only where the session names none.
+#: Used only where the session names none and everything runs on this machine, as in tests.
 LOCAL = "/tmp/checkpoints"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    return (spark.conf.get("spark.checkpoint.dir", None) or LOCAL).rstrip("/")
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return (named or LOCAL).rstrip("/")
 
 
 def scratch(spark: SparkSession, label: str) -> str:
