@@ -53,6 +53,8 @@ RECALL = 0.9999
 LIMIT = 512
 #: Run keys (16 bytes each) that are broadcast at most; more of them are joined by exchange.
 BROADCAST_KEYS = 200_000
+#: Rows of a batch of shingles, about.
+SHINGLE_ROWS = 50_000
 #: A sketch has 4 bits of each min-hash. Pairs under this estimate are not candidates: five
 #: standard errors below the threshold.
 LEAST_ESTIMATE = 0.62
@@ -346,12 +348,17 @@ def _shingle_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     """A row for each shingle of each set, with how many of them, rarest first, must hold one
     that a similar set has too."""
     for batch in batches:
-        sets = [np.frombuffer(s, np.int64) for s in batch["shingles"].to_pylist()]
-        if sets:
-            size = np.array([len(s) for s in sets])
-            of = pa.array(np.repeat(np.arange(len(sets)), size))
-            enough = np.repeat(size - -(-TENTHS * size // 10) + 1, size)
-            yield pa.RecordBatch.from_arrays([batch["component"].take(of), batch["node"].take(of), pa.array(np.concatenate(sets)), pa.array(enough)], ["component", "node", "shingle", "enough"])
+        size = np.diff(text_buffer(batch["shingles"])[1]) // 8
+        lo = 0
+        while lo < len(size):
+            # Some sets at a time: a batch of thousands makes millions of rows.
+            hi = max(lo + 1, int(np.searchsorted(np.cumsum(size[lo:]), SHINGLE_ROWS)) + lo)
+            part, own = batch.slice(lo, hi - lo), size[lo:hi]
+            of = pa.array(np.repeat(np.arange(hi - lo), own))
+            shingle = text_buffer(part["shingles"])[0].view(np.int64)
+            enough = np.repeat(own - -(-TENTHS * own // 10) + 1, own)
+            yield pa.RecordBatch.from_arrays([part["component"].take(of), part["node"].take(of), pa.array(shingle), pa.array(enough)], ["component", "node", "shingle", "enough"])
+            lo = hi
 
 
 def cut_by_rare_shingles(sets: DataFrame) -> DataFrame:
