@@ -1,7 +1,7 @@
 """Headline queries at one scale: one JSON line with seconds by query, counted costs beside.
 
-The input of the method comparison is stored once, so that all methods read the same table;
-each runs once to warm up and then REPEAT times. ``python bench.py --report`` prints the
+The input of the method comparison is kept in its partitions, so that all methods read the same
+values; each runs once to warm up and then REPEAT times. ``python bench.py --report`` prints the
 comparison over partitions and distributions with 95 % intervals.
 """
 
@@ -41,32 +41,36 @@ def seconds(run) -> float:
     return time.perf_counter() - began
 
 
-def compare(spark: SparkSession, copies: int, parts: int, distribution: str, q: str, repeat: int = REPEAT) -> dict:
-    """Mean seconds with interval, and counted costs, of each method on the same stored values."""
-    from exactrank.plans.fullsort import sort_quantile
-    from exactrank.plans.guided import guided_quantile
+def compare(spark: SparkSession, copies: int, parts: int, distribution: str, q: str, repeat: int = REPEAT, once: int = 1) -> dict:
+    """Mean seconds with interval, and measured costs, of each method on the same values, kept in
+    exactly ``parts`` partitions. Pruning runs ``once``."""
     from exactrank.plans.ledger import RunLedger, ci95
     from exactrank.plans.prune import prune_quantile
+    from exactrank.quantile_queries import METHODS, kept_in
     from exactrank.sources.distributions import DISTRIBUTIONS, enlarged
     from exactrank.sources.shared import scratch
 
     path = scratch(spark, "bench")
     values = DISTRIBUTIONS[distribution](spark, SF)
-    values = enlarged(values, copies) if copies > 1 else values
-    (values if distribution == "sorted" else values.repartition(parts)).write.parquet(path)
-    df = spark.read.schema("v long").parquet(path).coalesce(parts)
+    (enlarged(values, copies) if copies > 1 else values).write.parquet(path)
+    df = kept_in(parts, spark.read.schema("v long").parquet(path))
     n, out = df.count(), {}
-    methods = {
-        "guided": lambda x: guided_quantile(df, "v", q, ledger=x), "stock_sketch": lambda x: df.approxQuantile("v", [float(q)], 1e-3),
-        "native_sketch": lambda x: df.selectExpr(f"percentile_approx(v, {q}, 1000)").first(), "full_sort": lambda x: sort_quantile(df, "v", q, ledger=x),
-        "prune": lambda x: prune_quantile(df, "v", q, gather="agg", ledger=x),
-        "prune_tree": lambda x: prune_quantile(df, "v", q, gather="tree", ledger=x), "prune_collect": lambda x: prune_quantile(df, "v", q, gather="collect", ledger=x),
+    methods = METHODS | {
+        "native_sketch": lambda x, q, led: x.selectExpr(f"percentile_approx(v, {q}, 1000)").first(),
+        "prune": lambda x, q, led: prune_quantile(x, "v", q, gather="agg", ledger=led),
     }
-    for name, run in methods.items():
-        run(RunLedger())
-        led = [RunLedger() for _ in range(repeat)]
-        mean, low, high = ci95([seconds(lambda x=x: run(x)) for x in led])
-        out[name] = {"seconds": round(mean, 3), "low": round(low, 3), "high": round(high, 3), "rounds": led[0].rounds, "full_shuffles": led[0].full_shuffles, "candidates": led[0].candidates, "rank_err": led[0].rank_err}
+    try:
+        for name, run in methods.items():
+            times = once if name.startswith("prune") else repeat
+            if times > 1:
+                run(df, q, RunLedger())
+            led = [RunLedger() for _ in range(times)]
+            mean, low, high = ci95([seconds(lambda x=x: run(df, q, x)) for x in led])
+            x = led[0]
+            out[name] = {"seconds": round(mean, 3), "low": round(low, 3), "high": round(high, 3), "rounds": x.rounds, "full_shuffles": x.full_shuffles, "candidates": x.candidates, "rank_err": x.rank_err,
+                         "net_rows": x.net_rows, "net_bytes": x.net_bytes, "driver_bytes": x.driver_bytes, "executor_seconds": round(x.executor_seconds, 2), "driver_seconds": round(x.driver_seconds, 3)}
+    finally:
+        df.unpersist()
     return {"n": n, "partitions": parts, "distribution": distribution, "q": q, "methods": out}
 
 
@@ -75,7 +79,7 @@ def main() -> None:
     from exactrank import catalog
 
     if "--report" in sys.argv:
-        for copies, parts, name, q in [(1, 12, "uniform", "0.5"), (10, 40, "uniform", "0.5"), (100, 40, "uniform", "0.5"), (100, 40, "uniform", "0.99"), (100, 120, "uniform", "0.5"), (100, 40, "zipf", "0.5"), (100, 40, "bimodal", "0.5"), (1, 40, "sorted", "0.5")]:
+        for copies, parts, name, q in [(2, 12, "uniform", "0.5"), (17, 40, "uniform", "0.5"), (167, 40, "uniform", "0.5"), (167, 120, "uniform", "0.5"), *[(17, 40, d, q) for d in ("uniform", "zipf", "bimodal", "sorted") for q in ("0.5", "0.99")]]:
             print(json.dumps(compare(spark, copies, parts, name, q)), flush=True)
         return
     registered, times = catalog.queries(), {}

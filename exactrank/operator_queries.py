@@ -212,8 +212,14 @@ def sketch_distinct_within_bound(s, d):
     li = load(s, d, "lineitem", "l_partkey")
     true = li.select("l_partkey").distinct().count()
     a, b = li.agg(F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey", 14)), F.approx_count_distinct("l_partkey", 0.02)).first()
-    low = load(s, d, "events", "event_type").agg(F.length(F.count_min_sketch("event_type", F.lit(0.01), F.lit(0.95), F.lit(7)))).first()[0]
-    rows = [("hll", abs(a - true) <= 0.05 * true), ("approx_count_distinct", abs(b - true) <= 0.1 * true), ("count_min", low > 0)]
+    events = load(s, d, "events", "event_type")
+    true_counts = {r["event_type"]: r["count"] for r in events.groupBy("event_type").count().collect()}
+    total = sum(true_counts.values())
+    sketch = bytes(events.agg(F.count_min_sketch("event_type", F.lit(0.01), F.lit(0.95), F.lit(7))).first()[0])
+    stored = s.sparkContext._jvm.org.apache.spark.util.sketch.CountMinSketch.readFrom(sketch)
+    over = [stored.estimateCount(k) - c for k, c in true_counts.items()]
+    low = min(over) >= 0 and max(over) <= 0.01 * total and stored.totalCount() == total
+    rows = [("hll", abs(a - true) <= 0.05 * true), ("approx_count_distinct", abs(b - true) <= 0.1 * true), ("count_min", low)]
     return s.createDataFrame(rows, "sketch string, within_bound boolean")
 
 
@@ -222,6 +228,11 @@ def pivot_flags(s, d):
     return load(s, d, "lineitem").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count(F.lit(1)))
 
 
+@query("SELECT l_returnflag AS l_returnflag_l_linestatus, count(*) FILTER (l_linestatus = 'F') AS F, count(*) FILTER (l_linestatus = 'O') AS O FROM lineitem GROUP BY 1")
+def crosstab_flags(s, d):
+    return load(s, d, "lineitem").crosstab("l_returnflag", "l_linestatus")
+
+
 @query("SELECT s_suppkey, 'nation' AS item, s_nationkey::DOUBLE AS value FROM supplier UNION ALL SELECT s_suppkey, 'balance', s_acctbal FROM supplier")
 def unpivot_supplier(s, d):
     su = load(s, d, "supplier").select("s_suppkey", F.col("s_nationkey").cast("double").alias("nation"), F.col("s_acctbal").alias("balance"))

@@ -32,7 +32,6 @@ def sort_quantile(df: DataFrame, col: str | Column, q, *, how: str = "range", ru
         # Kept, because another run would sample other splitters.
         ordered = values.repartitionByRange(parts, "v").sortWithinPartitions("v").select("v", F.spark_partition_id().alias("pid"), F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1).alias("idx")).persist(StorageLevel.MEMORY_AND_DISK)
         ledger.persists += 1
-        ledger.full_shuffles += 1
         with ledger.round(spark, "sort"):
             held = sorted(ordered.groupBy("pid").count().collect())
         n = sum(c for _, c in held)
@@ -44,7 +43,6 @@ def sort_quantile(df: DataFrame, col: str | Column, q, *, how: str = "range", ru
                 k -= c
     elif how == "rdd":
         numbered = values.rdd.map(lambda r: r[0]).sortBy(lambda v: v, numPartitions=parts).zipWithIndex().map(lambda p: (p[1], p[0]))
-        ledger.full_shuffles += 1
         with ledger.round(spark, "sort"):
             n = numbered.count()
 

@@ -10,6 +10,7 @@ any size.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator, Sequence
 from decimal import Decimal
 from fractions import Fraction
@@ -24,16 +25,39 @@ from exactrank.functions.kernels import NearestBuffer, nearest
 from exactrank.functions.ranks import exact_share, rank_gap, target_rank
 from exactrank.plans import pivot as pivots
 from exactrank.plans.costmodel import suggest_eps
-from exactrank.plans.ledger import RunLedger
+from exactrank.plans.ledger import MaxParam, RunLedger
 from exactrank.plans.treemerge import FANOUT, tree
 from exactrank.plans.values import FLOATING, kind_of, literal, value_column
+from exactrank.sources.shared import scratch
 
 EXTRACTS = ("auto", "topk", "kernel", "histogram", "persisted_split")
 #: Candidates beyond which a bracket narrows the range first.
 MAX_CANDIDATES = 100_000
-#: A gap up to this is repaired without Python workers.
-TOPK_LIMIT = 20_000
-DEFAULT_EPS = 1e-3
+#: Rows that all tasks together may send to the one that merges a top-k.
+TOPK_ROWS = 2_000_000
+#: Sketch entries that one task may merge; beyond, summaries are merged in a tree.
+SKETCH_TUPLES = 20_000_000
+COARSEST_EPS, FINEST_EPS = 1e-3, 1e-5
+
+
+def expected_eps(values: DataFrame, max_candidates: int = MAX_CANDIDATES) -> float:
+    """The sketch error that keeps the gap within the budget, from the planner's size of the input
+    (no job): up to 1e10 values there is nothing to bracket."""
+    width = 8 + values._jdf.schema().fields()[0].dataType().defaultSize()
+    rows = max(1, int(str(values._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) // width)
+    # Files are compressed, so there may be some times as many values.
+    return min(COARSEST_EPS, max(FINEST_EPS, max_candidates / (8 * rows)))
+
+
+def stored_once(values: DataFrame) -> DataFrame:
+    """The one column as a table in the shared folder, if making it takes an exchange: the rounds
+    then read it instead of making it again."""
+    plan = values._jdf.queryExecution().executedPlan().toString()
+    if "InMemoryTableScan" in plan or not re.search(r"(?<!Broadcast)(?<!Reused)Exchange ", plan):
+        return values
+    path, schema = scratch(values.sparkSession, "values"), values.schema
+    values.write.parquet(path)
+    return values.sparkSession.read.schema(schema).parquet(path)
 
 
 class InputChanged(RuntimeError):
@@ -60,6 +84,8 @@ def count_around(values: DataFrame, around: Sequence) -> tuple[int, list[tuple[i
 
 
 def _beyond(kind: T.DataType, pivot, side: str) -> Column:
+    if pivot is None:
+        return F.lit(True)
     v, at = F.col("v"), literal(pivot, kind)
     return v > at if side == "right" else v < at
 
@@ -71,19 +97,22 @@ def by_topk(values: DataFrame, pivot, side: str, d: int) -> object:
     return near.agg((F.max if side == "right" else F.min)("v")).first()[0]
 
 
-def by_histogram(values: DataFrame, pivot, side: str, d: int) -> object:
-    """Candidates as (value, multiplicity): repeated values travel once."""
+def by_histogram(values: DataFrame, pivot, side: str, d: int, far, most: int) -> object | None:
+    """Candidates as (value, multiplicity): repeated values travel once. Only values up to ``far``
+    are counted, and ``most`` of them come to the driver; None if the answer is not among them."""
     order = F.asc("v") if side == "right" else F.desc("v")
-    counted = values.where(_beyond(kind_of(values), pivot, side)).groupBy("v").count().orderBy(order).limit(d)
-    # At most d rows, and running sums over them on one task.
-    from pyspark.sql import Window
-
-    run = counted.withColumn("upto", F.sum("count").over(Window.orderBy(order)))
-    return run.where(F.col("upto") >= d).orderBy(order).limit(1).first()["v"]
+    beyond_far = _beyond(kind_of(values), far, side)
+    counted = values.where(_beyond(kind_of(values), pivot, side) & ~beyond_far).groupBy("v").count().orderBy(order).limit(most)
+    for r in counted.collect():
+        d -= r["count"]
+        if d <= 0:
+            return r["v"]
+    return None
 
 
-def by_kernel(values: DataFrame, targets: Sequence[tuple], fanout: int = FANOUT) -> list:
+def by_kernel(values: DataFrame, targets: Sequence[tuple], fanout: int = FANOUT, ledger: RunLedger | None = None) -> list:
     """All (pivot, side, d) in one scan: bounded buffers in each partition, then a tree."""
+    peak = values.sparkSession.sparkContext.accumulator(0, MaxParam())
     kind = kind_of(values)
     wanted = [(side, d) for _, side, d in targets]
     conditions = [_beyond(kind, p, side) for p, side, _ in targets]
@@ -98,6 +127,7 @@ def by_kernel(values: DataFrame, targets: Sequence[tuple], fanout: int = FANOUT)
             for i, buffer in enumerate(buffers):
                 buffer.add(b["v"].filter(b[f"m{i}"]))
         pid = TaskContext.get().partitionId()
+        peak.add(sum(buffer.peak for buffer in buffers))
         for i, buffer in enumerate(buffers):
             got = buffer.result()
             if got is not None:
@@ -112,6 +142,8 @@ def by_kernel(values: DataFrame, targets: Sequence[tuple], fanout: int = FANOUT)
     rows = marked.mapInArrow(local, schema)
     last = tree(rows, values.rdd.getNumPartitions(), together, ("target",), fanout)
     ends = {r["target"]: (r["low"], r["high"]) for r in last.groupBy("target").agg(F.min("v").alias("low"), F.max("v").alias("high")).collect()}
+    if ledger is not None:
+        ledger.buffer_peak = max(ledger.buffer_peak, peak.value)
     return [ends[i][1 if side == "right" else 0] for i, (side, _) in enumerate(wanted)]
 
 
@@ -122,6 +154,11 @@ class _Run:
         self.values, self.spark, self.kind = values, values.sparkSession, kind_of(values)
         self.eps, self.pivot, self.extract, self.merge = eps, pivot, extract, merge
         self.max_candidates, self.fanout, self.ledger = max_candidates, fanout, ledger
+        self.parts = values.rdd.getNumPartitions()
+        if pivot == "native":
+            self.eps = eps or expected_eps(values, max_candidates)
+            if self.parts / self.eps > SKETCH_TUPLES and pivots.supported("summary", self.kind):
+                self.pivot = "summary"
 
     def ask(self, values: DataFrame, shares: list[Fraction]) -> list:
         return pivots.find(self.pivot, values, shares, self.eps, self.merge)
@@ -133,18 +170,14 @@ class _Run:
             if fused:
                 nan = F.isnan("v") if isinstance(self.kind, FLOATING) else F.lit(False)
                 v = F.when(~nan, F.col("v"))
-                eps = self.eps or DEFAULT_EPS
-                row = self.values.agg(F.count("v"), F.count_if(nan), F.min(v), F.max(v), F.percentile_approx(v, [float(q) for q in shares], round(1 / eps))).first()
+                row = self.values.agg(F.count("v"), F.count_if(nan), F.min(v), F.max(v), F.percentile_approx(v, [float(q) for q in shares], round(1 / self.eps))).first()
                 self.n, self.nan, self.least, self.greatest = row[:4]
                 found = list(row[4]) if row[4] is not None else []
-                self.eps = eps
             else:
                 self.n, self.nan, self.least, self.greatest = sizes(self.values)
-                self.eps = self.eps or suggest_eps(self.n, self.values.rdd.getNumPartitions())[0]
+                self.eps = self.eps or suggest_eps(self.n, self.parts)[0]
                 found = self.ask(self.values, shares)
-        parts = self.values.rdd.getNumPartitions()
-        self.ledger.n, self.ledger.partitions, self.ledger.eps = self.n, parts, self.eps
-        self.ledger.sent(int(min(self.n, parts / self.eps)), 24)
+        self.ledger.n, self.ledger.partitions, self.ledger.eps = self.n, self.parts, self.eps
         self.solid = self.n - self.nan
         return found
 
@@ -156,7 +189,6 @@ class _Run:
             n, counts = count_around(self.values, around)
         if n != self.n:
             raise InputChanged(f"{self.n} values, then {n}: the input must stay the same during a run")
-        self.ledger.sent(self.ledger.partitions * (1 + 2 * len(around)))
         where = dict(zip(around, counts))
         far = []
         for k, p in ranks.items():
@@ -177,21 +209,29 @@ class _Run:
         """Round 3."""
         biggest = max(d for *_, d in near)
         self.ledger.candidates = max(self.ledger.candidates, biggest)
-        self.ledger.sent(sum(min(d * self.ledger.partitions, self.n) for *_, d in near))
         how = self.extract
         if how == "auto":
-            how = "topk" if len(near) == 1 and biggest <= TOPK_LIMIT else "kernel"
+            # A top-k merges what all tasks send in one task; the kernel does so in a tree.
+            how = "topk" if len(near) == 1 and biggest * self.parts <= TOPK_ROWS else "kernel"
         if how == "kernel" and isinstance(self.kind, T.StructType):
             how = "topk"
         self.ledger.notes["extract"] = how
         with self.ledger.round(self.spark, "extract"):
             if how == "kernel":
-                got = by_kernel(self.values, [t[1:] for t in near], self.fanout)
+                got = by_kernel(self.values, [t[1:] for t in near], self.fanout, self.ledger)
                 return {k: x for (k, *_), x in zip(near, got)}
             if how == "persisted_split":
                 return self.from_split(near)
-            one = by_histogram if how == "histogram" else by_topk
-            return {k: one(self.values, p, side, d) for k, p, side, d in near}
+            if how == "histogram":
+                return {t[0]: self.from_histogram(*t) for t in near}
+            return {k: by_topk(self.values, p, side, d) for k, p, side, d in near}
+
+    def from_histogram(self, k: int, p, side: str, d: int) -> object:
+        """Counted values between the pivot and a sketched bound beyond the rank."""
+        share, margin = Fraction(2 * k + 1, 2 * self.solid), 2 * Fraction(str(self.eps)) + Fraction(1, self.solid)
+        (far,) = self.ask(self.values, [min(share + margin, Fraction(1)) if side == "right" else max(share - margin, Fraction(0))])
+        found = by_histogram(self.values, p, side, d, far, self.max_candidates)
+        return by_kernel(self.values, [(p, side, d)], self.fanout, self.ledger)[0] if found is None else found
 
     def from_split(self, near: list[tuple]) -> dict[int, object]:
         """The counted split, kept: later scans read only the side they need."""
@@ -232,11 +272,16 @@ class _Run:
                 inside = inside.where(_beyond(self.kind, lo, "right") & _beyond(self.kind, hi, "left"))
                 rank, new = rank - lo_b - lo_e, hi_b - lo_b - lo_e
             if new >= size:
-                break
+                # Bounds that exclude nothing, from a provider that missed the column's type.
+                from exactrank.plans.prune import select_rank
+
+                return select_rank(inside, rank, "agg", ledger=self.ledger)
             size = new
         self.ledger.candidates = max(self.ledger.candidates, size)
         with self.ledger.round(self.spark, "extract"):
-            return inside.orderBy("v").offset(rank).limit(1).first()["v"]
+            if (rank + 1) * self.parts <= TOPK_ROWS or isinstance(self.kind, T.StructType):
+                return by_topk(inside, None, "right", rank + 1)
+            return by_kernel(inside, [(None, "right", rank + 1)], self.fanout, self.ledger)[0]
 
 
 def _fused(run: _Run, targets: list) -> dict[int, object] | None:
@@ -277,46 +322,48 @@ def result_frame(spark, rows: list[tuple], kind: T.DataType, interpolated: bool)
 
 def quantile_values(
     df: DataFrame, col: str | Column, q, *, eps: float | None = None, rule: str = "nearest", pivot: str = "native", extract: str = "auto", merge: str = "tree",
-    nan_policy: str = "last", rounds: int = 3, max_candidates: int = MAX_CANDIDATES, fanout: int = FANOUT, ledger: RunLedger | None = None,
+    nan_policy: str = "last", rounds: int = 3, max_candidates: int = MAX_CANDIDATES, fanout: int = FANOUT, store: bool = True, ledger: RunLedger | None = None,
 ) -> list[tuple]:
-    """(q, 0-based rank, value) for each q, as Python values."""
+    """(q, 0-based rank, value) for each q, as Python values. ``store``: write the column once
+    where making it takes an exchange."""
     if extract not in EXTRACTS:
         raise ValueError(f"no extraction {extract!r}")
     ledger = ledger if ledger is not None else RunLedger()
     ledger.method = ledger.method or "guided"
     shares = [exact_share(x) for x in (q if isinstance(q, (list, tuple)) else [q])]
     names = [float(s) for s in shares]
-    run = _Run(value_column(df, col, nan_policy), eps, pivot, extract, merge, max_candidates, fanout, ledger)
+    values = value_column(df, col, nan_policy)
+    run = _Run(stored_once(values) if store else values, eps, pivot, extract, merge, max_candidates, fanout, ledger)
     found = run.open(shares)
     if nan_policy == "error" and run.nan:
         raise ValueError(f"{run.nan} values are NaN")
     targets = [target_rank(run.n, s, rule) for s in shares]
     if not run.n:
         return [(x, None, None) for x in names]
-    values: dict[int, object] = {}
+    found_at: dict[int, object] = {}
     open_ranks: dict[int, object] = {}
     for i, t in enumerate(targets):
         for k in {t.low, t.high}:
             if k >= run.solid:
-                values[k] = float("nan")
+                found_at[k] = float("nan")
             elif k == 0:
-                values[k] = run.least
+                found_at[k] = run.least
             elif k == run.solid - 1:
-                values[k] = run.greatest
+                found_at[k] = run.greatest
             else:
                 open_ranks[k] = found[i]
     if open_ranks and rounds == 2:
         got = _fused(run, [(Fraction(2 * k + 1, 2 * run.solid), k) for k in open_ranks])
         if got is not None:
-            values |= got
+            found_at |= got
             open_ranks = {}
     if open_ranks:
-        values |= run.solve(open_ranks)
+        found_at |= run.solve(open_ranks)
     out = []
     for x, t in zip(names, targets):
-        a = values[t.low]
+        a = found_at[t.low]
         if rule in ("midpoint", "linear"):
-            a, b = float(a), float(values[t.high])
+            a, b = float(a), float(found_at[t.high])
             a = a + (b - a) * float(t.weight) if t.weight else a
         out.append((x, t.low, a))
     return out
@@ -330,5 +377,15 @@ def guided_quantile(df: DataFrame, col: str | Column, q, **options) -> DataFrame
     return result_frame(df.sparkSession, rows, kind_of(values), options.get("rule") in ("midpoint", "linear"))
 
 
+def verify(df: DataFrame, col: str | Column, answers: Sequence[tuple], ledger: RunLedger) -> bool:
+    """Whether the (k, value) given stand at their ranks, by one count around them; kept in the
+    ledger with the greatest distance."""
+    n, counts = count_around(value_column(df, col), [v for _, v in answers])
+    off = [max(0, below - k, k - (below + equal - 1)) if equal else n for (k, _), (below, equal) in zip(answers, counts)]
+    ledger.exact = not any(off)
+    ledger.notes["distance"] = max(off, default=0)
+    return ledger.exact
+
+
 def guided_median(df: DataFrame, col: str | Column, **options) -> Decimal | float | None:
     return quantile_values(df, col, "0.5", **options)[0][2]

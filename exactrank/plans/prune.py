@@ -23,6 +23,9 @@ from exactrank.plans.treemerge import tree
 from exactrank.plans.values import FLOATING, kind_of, literal, value_column
 
 GATHERS, STORES = ("tree", "collect", "agg"), ("filter", "persist", "checkpoint")
+#: Rounds after which lineage is cut by a checkpoint: a plan over kept intervals within kept
+#: intervals doubles each round.
+CUT_AFTER = {"persist": 4, "checkpoint": 1}
 
 
 def _message_schema(kind: T.DataType) -> T.StructType:
@@ -104,7 +107,6 @@ def select_rank(live: DataFrame, k: int, gather: str = "tree", store: str = "fil
         for turn in range(1, max_rounds + 1):
             with ledger.round(spark, "count"):
                 m = _gather(live, pivot, seed * 7919 + turn, gather)
-            ledger.sent(live.rdd.getNumPartitions() * 5)
             if m["below"] <= k < m["below"] + m["equal"]:
                 return pivot
             left = k < m["below"]
@@ -119,7 +121,7 @@ def select_rank(live: DataFrame, k: int, gather: str = "tree", store: str = "fil
                     live = live.where(b)
             else:
                 live = live.where(bounds[left])
-                if store == "checkpoint" and turn % 8 == 0:
+                if turn % CUT_AFTER[store] == 0:
                     live = live.checkpoint()
                 live = live.persist(StorageLevel.MEMORY_AND_DISK)
                 ledger.persists += 1
@@ -139,7 +141,7 @@ def prune_quantile(df: DataFrame, col: str | Column, q, *, gather: str = "tree",
     ledger.method = ledger.method or f"prune_{gather}"
     values = value_column(df, col, nan_policy)
     spark = df.sparkSession
-    if store == "checkpoint":
+    if store in CUT_AFTER:
         from exactrank.sources.shared import ensure_checkpoint_dir
 
         ensure_checkpoint_dir(spark)

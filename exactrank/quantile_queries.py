@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
+import math
+
+from pyspark import StorageLevel
 from pyspark.sql import functions as F
 
 from exactrank.functions.ranks import target_rank
 from exactrank.functions.summaries import AdaptiveSummary, BufferedSummary, RegularSample, StreamSummary
 from exactrank.operators import rank as ranking
 from exactrank.plans import pivot as pivots
-from exactrank.plans.builtin import builtin_quantile
+from exactrank.plans.builtin import builtin_quantile, ntile_quantile
 from exactrank.plans.fullsort import sort_quantile
 from exactrank.plans.grouped import guided_quantile_by
-from exactrank.plans.guided import count_around, guided_quantile
+from exactrank.plans.guided import count_around, guided_quantile, quantile_values, verify
 from exactrank.plans.ledger import RunLedger
 from exactrank.plans.prune import prune_quantile
 from exactrank.plans.sqlscript import guided_sql, prune_sql
@@ -19,6 +22,33 @@ from exactrank.plans.values import value_column
 from exactrank.sources.distributions import DISTRIBUTIONS, duckdb_sql, enlarged, uniform
 from exactrank.sources.tables import load
 
+STOCK_EPS = 1e-3
+
+
+def _stock(df, q, x):
+    """Spark's statistics function, in a round of the ledger."""
+    x.method = "stock_sketch"
+    with x.round(df.sparkSession, "sketch"):
+        value = int(v) if (v := df.approxQuantile("v", [float(q)], STOCK_EPS)[0]).is_integer() else v
+    x.n = df.count()
+    x.notes["answer"] = (target_rank(x.n, q).low, value)
+
+
+def _answered(run):
+    def method(df, q, x):
+        x.notes["answer"] = tuple(run(df, q, x).first())[1:]
+
+    return method
+
+
+#: The methods that the experiment compares; the answer (rank, value) goes to the ledger's notes.
+METHODS = {
+    "guided": _answered(lambda df, q, x: guided_quantile(df, "v", q, ledger=x)),
+    "stock_sketch": _stock,
+    "full_sort": _answered(lambda df, q, x: sort_quantile(df, "v", q, ledger=x)),
+    "prune_tree": _answered(lambda df, q, x: prune_quantile(df, "v", q, gather="tree", store="persist", ledger=x)),
+    "prune_collect": _answered(lambda df, q, x: prune_quantile(df, "v", q, gather="collect", store="persist", ledger=x)),
+}
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
 HALF, TAIL, EDGES = ["0.5"], ["0.99"], ["0", "0.01", "0.25", "0.75", "1"]
@@ -125,9 +155,15 @@ grouped("guided_join_nation_total", _by_nation, [("n_name", "n_name")], "o_total
 
 for _how in ("range", "rdd", "global_limit"):
     add(f"sort_{_how}_price", column(sort_quantile, "lineitem", "l_extendedprice", ["0.5", "0.99"], how=_how), disc(["0.5", "0.99"], "l_extendedprice", "lineitem"))
+add("builtin_approx_within_bound", lambda s, d: _approx_bound(s, d), "SELECT true AS within_bound")
+add("builtin_ntile_price", lambda s, d: ntile_quantile(load(s, d, "events"), "value", 4),
+    "SELECT quarter::INTEGER AS quarter, max(value) AS upper, count(*) AS n FROM (SELECT value, ntile(4) OVER (ORDER BY value) AS quarter FROM events) GROUP BY 1")
+add("builtin_histogram_within_bound", lambda s, d: _histogram_bound(s, d), "SELECT 20::INTEGER AS bins, true AS rows_add_up, true AS ascending")
 for _how, _agg in (("percentile_disc", "quantile_disc"), ("percentile_cont", "quantile_cont"), ("percentile", "quantile_cont"), ("median", "quantile_cont")):
     add(f"builtin_{_how}_price", lambda s, d, h=_how: builtin_quantile(load(s, d, "lineitem"), "l_extendedprice", 0.5, h).withColumn("value", F.round("value", 6)),
         f"SELECT 0.5::DOUBLE AS q, round({_agg}(l_extendedprice, 0.5), 6) AS value FROM lineitem")
+for _gather in ("tree", "collect"):
+    add(f"prune_{_gather}_persist_price", column(prune_quantile, "lineitem", "l_extendedprice", HALF, gather=_gather, store="persist"), disc(HALF, "l_extendedprice", "lineitem"))
 for _gather in ("tree", "collect", "agg"):
     add(f"prune_{_gather}_price", column(prune_quantile, "lineitem", "l_extendedprice", HALF, gather=_gather), disc(HALF, "l_extendedprice", "lineitem"))
 add("prune_persist_quantity", column(prune_quantile, "lineitem", "l_quantity", HALF, gather="agg", store="persist"), disc(HALF, "l_quantity", "lineitem"))
@@ -215,13 +251,13 @@ for _name, _make in DISTRIBUTIONS.items():
         add(f"dist_{_name}_{_label}_sort", lambda s, d, m=_make, q=_qs: sort_quantile(m(s, d), "v", q), disc(_qs, "v", _source))
         add(f"dist_{_name}_{_label}_prune", lambda s, d, m=_make, q=_qs: prune_quantile(m(s, d), "v", q, gather="agg"), disc(_qs, "v", _source))
         for _gather in ("tree", "collect"):
-            add(f"dist_{_name}_{_label}_{_gather}_prune", lambda s, d, m=_make, q=_qs, g=_gather: prune_quantile(m(s, d), "v", q, gather=g), disc(_qs, "v", _source))
+            add(f"dist_{_name}_{_label}_{_gather}_prune", lambda s, d, m=_make, q=_qs, g=_gather: prune_quantile(m(s, d), "v", q, gather=g, store="persist"), disc(_qs, "v", _source))
     add(f"gen_{_name}", lambda s, d, m=_make: m(s, d).groupBy(F.floor(F.col("v") / 100_000_000).alias("band")).agg(F.count("*").alias("n"), F.sum("v").alias("total")),
         f"SELECT floor(v / 100000000)::BIGINT AS band, count(*) AS n, sum(v)::BIGINT AS total FROM ({duckdb_sql(_name)}) GROUP BY 1")
 
 # The experiment's axes: partitions (4 a node) and size.
 for _parts in (4, 12, 40, 120):
-    add(f"bench_parts_{_parts}", lambda s, d, p=_parts: guided_quantile(load(s, d, "lineitem", "l_extendedprice").repartition(p), "l_extendedprice", ["0.5", "0.99"]), disc(["0.5", "0.99"], "l_extendedprice", "lineitem"))
+    add(f"bench_parts_{_parts}", lambda s, d, p=_parts: guided_quantile(load(s, d, "lineitem", "l_extendedprice").repartition(p), "l_extendedprice", ["0.5", "0.99"], store=False), disc(["0.5", "0.99"], "l_extendedprice", "lineitem"))
 for _times in (1, 10, 100):
     _source = f"(SELECT (v + 1000000000 + copy * 7368787) % 2000000000 - 1000000000 AS v FROM ({duckdb_sql('uniform')}), range({_times}) t(copy))"
     add(f"bench_size_x{_times}", lambda s, d, t=_times: guided_quantile(enlarged(uniform(s, d), t), "v", ["0.5", "0.99"]), disc(["0.5", "0.99"], "v", _source))
@@ -246,8 +282,138 @@ add("ecdf_bins_nchars", lambda s, d: ranking.ecdf_bins(load(s, d, "documents"),
     " UNION ALL ".join(f"SELECT {e}::DOUBLE AS edge, count(*) FILTER (n_chars <= {e})::DOUBLE / count(*) AS share FROM documents" for e in _AT))
 
 
+def _approx_bound(s, d):
+    """Spark's approximate percentile, one call, against exact counts."""
+    df = load(s, d, "lineitem", "l_extendedprice")
+    value = builtin_quantile(df, "l_extendedprice", 0.5, "approx").first()["value"]
+    n, ((below, equal),) = count_around(value_column(df, "l_extendedprice"), [value])
+    return s.createDataFrame([(below <= n / 2 + n / 10000 + 1 and below + equal >= n / 2 - n / 10000 - 1,)], "within_bound boolean")
+
+
+def _histogram_bound(s, d):
+    """Spark's adaptive histogram: its bins hold all rows, in order."""
+    df = load(s, d, "lineitem", "l_extendedprice")
+    n, bins = df.agg(F.count("l_extendedprice"), F.histogram_numeric("l_extendedprice", F.lit(20))).first()
+    at = [b["x"] for b in bins]
+    return s.createDataFrame([(len(bins), abs(sum(b["y"] for b in bins) - n) < 0.5, at == sorted(at))], "bins int, rows_add_up boolean, ascending boolean")
+
+
+# The experiment: all methods on the same values in so many partitions.
+
+
+def compared(df, qs, distribution):
+    """(distribution, q, method, k, value, within_bound, full_shuffles): answers of the five
+    methods, each checked by a count around it, and the exchanges that their jobs made."""
+    spark, values, rows = df.sparkSession, value_column(df, "v"), []
+    for q in qs:
+        for name, run in METHODS.items():
+            run(df, q, x := RunLedger())
+            k, value = x.notes["answer"]
+            if x.method == "stock_sketch":
+                _, ((below, equal),) = count_around(values, [value])
+                ok = below - STOCK_EPS * x.n - 1 <= k <= below + equal + STOCK_EPS * x.n
+            else:
+                ok = verify(df, "v", [(k, value)], x)
+            rows.append((distribution, float(q), name, k, None if x.method == "stock_sketch" else value, ok, x.full_shuffles))
+    return spark.createDataFrame(rows, "distribution string, q double, method string, k long, value long, within_bound boolean, full_shuffles int")
+
+
+def compared_sql(qs, names):
+    rows = " UNION ALL ".join(f"SELECT '{n}' AS distribution, q, k, value FROM ({disc(qs, 'v', f'({duckdb_sql(n)})')})" for n in names)
+    return (f"SELECT distribution, q, method, k, CASE WHEN method <> 'stock_sketch' THEN value END AS value, true AS within_bound, CASE WHEN method = 'full_sort' THEN 1 ELSE 0 END::INTEGER AS full_shuffles "
+            f"FROM ({rows}), (VALUES ('guided'), ('stock_sketch'), ('full_sort'), ('prune_tree'), ('prune_collect')) m(method)")
+
+
+def kept_in(parts, values):
+    """The values in exactly so many partitions, kept in memory or on disk."""
+    df = values.repartition(parts).persist(StorageLevel.MEMORY_AND_DISK)
+    df.count()
+    return df
+
+
+def _figure(parts, names, qs):
+    def run(s, d):
+        out = None
+        for name in names:
+            df = kept_in(parts, DISTRIBUTIONS[name](s, d))
+            try:
+                part = compared(df, qs, name)
+            finally:
+                df.unpersist()
+            out = part if out is None else out.unionByName(part)
+        return out
+
+    return run
+
+
+add("bench_f1", _figure(40, ["uniform"], HALF), compared_sql(HALF, ["uniform"]))
+add("bench_f2", _figure(120, ["uniform"], HALF), compared_sql(HALF, ["uniform"]))
+RUNS = 5
+
+
+def _stable(s, d):
+    """Guided selection again and again: the same answer, in as many rounds, on every distribution."""
+    rows = []
+    for name, make in DISTRIBUTIONS.items():
+        df = kept_in(40, make(s, d))
+        try:
+            for q in ("0.5", "0.99"):
+                ledgers = [RunLedger() for _ in range(RUNS)]
+                found = [quantile_values(df, "v", q, ledger=x)[0] for x in ledgers]
+                rows.append((name, float(q), found[0][1], found[0][2], RUNS, len(set(found)), len({x.rounds for x in ledgers}), max(x.rounds for x in ledgers) <= 3))
+        finally:
+            df.unpersist()
+    return s.createDataFrame(rows, "distribution string, q double, k long, value long, runs int, answers int, round_counts int, within_three boolean")
+
+
+add("bench_f3", _stable, f"SELECT distribution, q, k, value, {RUNS}::INTEGER AS runs, 1::INTEGER AS answers, 1::INTEGER AS round_counts, true AS within_three FROM ("
+    + " UNION ALL ".join(f"SELECT '{n}' AS distribution, q, k, value FROM ({disc(['0.5', '0.99'], 'v', f'({duckdb_sql(n)})')})" for n in DISTRIBUTIONS) + ")")
+
+
+def _measures(s, d):
+    """What the status store says of one run of each method, against what the analysis predicts."""
+    df, rows = kept_in(8, load(s, d, "lineitem", "l_extendedprice").withColumnRenamed("l_extendedprice", "v")), []
+    try:
+        ledgers = {}
+        for name, run in METHODS.items():
+            run(df, "0.5", ledgers.setdefault(name, RunLedger()))
+        kernel = RunLedger()
+        quantile_values(df, "v", "0.5", eps=0.01, extract="kernel", ledger=kernel)
+        for name, x in ledgers.items():
+            within = name == "stock_sketch" or verify(df, "v", [x.notes["answer"]], x)
+            rows += [
+                ("exact", name, within), ("full_shuffles", name, x.full_shuffles == (name == "full_sort")),
+                ("network_rows", name, x.net_rows >= x.n if name == "full_sort" else x.net_rows < x.n / 2), ("network_bytes", name, 0 < x.net_bytes),
+                ("executor_time", name, x.executor_seconds > 0), ("driver_time", name, 0 <= x.driver_seconds <= x.seconds), ("driver_memory", name, 0 < x.driver_bytes < 1 << 24),
+                ("rounds", name, x.rounds <= 3 if name in ("guided", "stock_sketch", "full_sort") else x.rounds > 3), ("persists", name, (x.persists > 1) == name.startswith("prune")),
+            ]
+        rows.append(("executor_memory", "guided", 0 < kernel.buffer_peak <= kernel.n))
+        rows.append(("executor_memory", "full_sort", ledgers["full_sort"].executor_memory > 0))
+    finally:
+        df.unpersist()
+    return s.createDataFrame(rows, "measure string, method string, holds boolean")
+
+
+_MEASURES = ["exact", "full_shuffles", "network_rows", "network_bytes", "executor_time", "driver_time", "driver_memory", "rounds", "persists"]
+add("ledger_measures", _measures, "SELECT measure, method, true AS holds FROM (VALUES " + ", ".join(f"('{m}', '{n}')" for m in _MEASURES for n in METHODS) + ", ('executor_memory', 'guided'), ('executor_memory', 'full_sort')) t(measure, method)")
+
+
+def _summary_sizes(s, d):
+    """Entries of one summary of all values against the bound of the analysis, 11 / (2 eps) times
+    the logarithm of 2 eps n."""
+    values, rows = value_column(load(s, d, "lineitem", "l_extendedprice"), "l_extendedprice").repartition(4), []
+    for name, make in (("stream", _Stream), ("buffered", BufferedSummary), ("adaptive", AdaptiveSummary)):
+        got = pivots.merged_summary(values, 0.01, "driver-tree", make)
+        rows.append((name, len(got) <= 5.5 / 0.01 * max(1.0, math.log2(0.02 * got.n)) + 1, got.n))
+    return s.createDataFrame(rows, "summary string, within_bound boolean, n long")
+
+
+add("summary_size_bound", _summary_sizes, "SELECT summary, true AS within_bound, (SELECT count(*) FROM lineitem) AS n FROM (VALUES ('stream'), ('buffered'), ('adaptive')) t(summary)")
+
+
 def _costs(s, d):
-    """Counted costs of one run of each method: what must not depend on the machine."""
+    """Measured costs of one run of each method: what must not depend on the machine. Full shuffles
+    are stages that wrote most of the values to an exchange."""
     df, rows = load(s, d, "lineitem"), []
     for name, run in (
         ("guided", lambda x: guided_quantile(df, "l_extendedprice", "0.5", ledger=x)), ("guided_hit", lambda x: guided_quantile(df, "l_quantity", "0.5", ledger=x)),

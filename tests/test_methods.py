@@ -164,6 +164,46 @@ def test_counted_costs(spark):
     assert ledger_table(spark, {"a": x, "b": y}).count() == 2
 
 
+def test_three_rounds_and_no_full_shuffle_at_1e8(spark):
+    values = spark.range(10**8).selectExpr("id * 48271 % 2147483647 AS v")
+    x = RunLedger()
+    ((_, k, value),) = g.quantile_values(values, "v", "0.5", ledger=x)
+    assert (x.rounds, x.full_shuffles, x.n) == (3, 0, 10**8) and x.net_rows < 10**6 and x.eps < g.COARSEST_EPS
+    assert g.verify(values, "v", [(k, value)], x) and x.exact
+    assert not g.verify(values, "v", [(k, value + 1000)], x) and x.exact is False
+
+
+def test_an_added_shuffle_is_counted(spark):
+    df = column(spark, [float(i) for i in range(5000)], "double", 8)
+    for source, shuffles in ((df, 0), (df.repartition(5), 3)):
+        x = RunLedger()
+        g.quantile_values(source.cache() if not shuffles else source, "v", "0.3", eps=0.01, store=False, ledger=x)
+        assert x.full_shuffles == shuffles, x.shuffled
+
+
+def test_an_input_behind_an_exchange_is_made_once(spark):
+    made = spark.sparkContext.accumulator(0)
+
+    def counting(batches):
+        for b in batches:
+            made.add(b.num_rows)
+            yield b
+
+    df = spark.range(4000).mapInArrow(counting, "id long").repartition(6)
+    assert got(guided_quantile(df, "id", ["0.5", "0.9"], eps=0.05)) == [1999, 3599]
+    assert made.value == 4000
+    assert g.stored_once(value_column(spark.range(10).toDF("v"), "v")).rdd.getNumPartitions() == spark.range(10).rdd.getNumPartitions()
+
+
+def test_the_repair_follows_candidates_times_partitions(spark, monkeypatch):
+    df = column(spark, [float(i * 7919 % 5003) for i in range(5000)], "double", 8)
+    for rows, how in ((10**6, "topk"), (10, "kernel")):
+        monkeypatch.setattr(g, "TOPK_ROWS", rows)
+        x = RunLedger()
+        guided_quantile(df, "v", "0.5", eps=0.02, ledger=x)
+        assert x.rank_err == 0 or (x.notes["extract"] == how and (x.buffer_peak > 0) == (how == "kernel"))
+
+
 def test_plans(spark):
     df = load(spark, SF, "lineitem")
     near = value_column(df, "l_extendedprice").where(F.col("v") > 50000.0).orderBy("v").limit(10).agg(F.max("v"))

@@ -12,7 +12,7 @@ from exactrank import catalog
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 # Long-running ones are compared at the round's end by the driver.
-SLOW = {n for n in catalog.queries() if n.startswith("dist_") and n.endswith("_prune")}
+SLOW = {n for n in catalog.queries() if n.startswith("dist_") and n.endswith("_prune")} | {"bench_f2"}
 
 
 @pytest.fixture(scope="module")
