@@ -1,11 +1,14 @@
 """License scan by diagonal voting, all in DataFrame operations.
 
-Texts and templates are word sequences. Each pair of neighbouring words of a text that also
-stands in a template votes for the diagonal (text position minus template position); the join
-compares hash and words, so a vote is exact. Votes are counted by diagonal. A diagonal with
-all pairs of a template is the template word for word; neighbouring diagonals (a few words
-inserted or lost) are merged before the share of the template's pairs is taken. Templates are
-a fixed list, a few hundred rows, and are broadcast: text pairs are never shuffled, only votes.
+Texts and templates are word sequences. Templates are the parts of public licence texts. Every run
+of ``GRAM`` words of a text that also stands in a template votes for the diagonal (text position
+minus template position); short phrases vote by pairs of words. The join compares hash and
+words, so a vote is exact. Votes are counted by diagonal, and neighbouring diagonals (words
+inserted or lost) are merged. Then the span is verified: along the text, the votes are chained
+as long as their places in the template rise, and the chain's share of the template's runs
+decides. A phrase counts where one diagonal holds all its pairs, which is the phrase itself.
+Templates are a fixed list, some thousand rows, and are broadcast: text words are never
+shuffled, only votes.
 
 Defined results: a null text is empty (no words, no labels, score 0, null places); rows that
 repeat both doc_id and text give the same result each; a null doc_id is kept; other columns
@@ -14,10 +17,13 @@ of the input are ignored.
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from exactrank.llm.common import documents
+from exactrank.llm.license_texts import TEXTS
 
 #: Words are runs of anything but these.
 SEPARATORS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -29,22 +35,22 @@ PHRASES = [
     ("cc by", "cc-by"),
     ("mit license", "mit"),
 ]
-# Openings of public licence texts, matched by share.
-TEMPLATES = [
-    ("permission is hereby granted free of charge to any person obtaining a copy of this software", "mit"),
-    ("redistribution and use in source and binary forms with or without modification are permitted", "bsd"),
-    ("licensed under the apache license version 2 0", "apache-2.0"),
-    ("licensed under the gnu general public license version 3", "gpl-3.0"),
-    ("this program is free software you can redistribute it and or modify it under the terms of the", "gpl"),
-    ("licensed under cc by nc 4 0", "cc-by-nc"),
-    ("this work is licensed under a creative commons attribution", "cc"),
-    ("subject to the terms of the mozilla public license", "mpl"),
-    ("permission to use copy modify and or distribute this software for any purpose", "isc"),
-]
-#: A template's label is given from this share of its word pairs on.
-MIN_SHARE = 0.8
+#: Words of a template's runs.
+GRAM = 5
+#: A template's label is given from this share of its runs on: one changed word spoils five.
+MIN_SHARE = 0.6
 #: Diagonals at most so far apart are one alignment.
-NEAR_DIAGONALS = 2
+NEAR_DIAGONALS = 8
+_WORD = re.compile("[a-z0-9]+")
+
+
+def template_parts(texts=TEXTS) -> list[tuple[str, str]]:
+    """(words, label) of every part of at least GRAM words."""
+    parts = [(_WORD.findall(part.lower()), label) for label, text in texts for part in text.split("\n\n")]
+    return [(" ".join(words), label) for words, label in parts if len(words) >= GRAM]
+
+
+TEMPLATES = template_parts()
 
 
 def lowered(text: Column) -> Column:
@@ -57,37 +63,57 @@ def words_of(text: Column) -> Column:
     return F.filter(F.split(lowered(text), SEPARATORS), lambda w: w != "")
 
 
-def template_pairs(spark: SparkSession, phrases, templates) -> DataFrame:
+def template_runs(phrases, templates) -> list[tuple]:
+    """(template, label, phrase, runs, length, at, gram) of every run of words that may vote."""
     rows = []
     for t, (text, label) in enumerate([*phrases, *templates]):
-        words = text.split(" ")
-        rows += [(t, label, t < len(phrases), len(words) - 1, i, a, b) for i, (a, b) in enumerate(zip(words, words[1:]))]
-    made = spark.createDataFrame(rows, "template int, label string, phrase boolean, pairs int, at int, a string, b string")
-    return made.withColumn("h", F.xxhash64("a", "b"))
+        words, phrase = text.split(" "), t < len(phrases)
+        n = 2 if phrase else GRAM
+        grams = [" ".join(words[i : i + n]) for i in range(len(words) - n + 1)]
+        rows += [(t, label, phrase, len(grams), n, i, g) for i, g in enumerate(grams)]
+    return rows
+
+
+def _matches(spark: SparkSession, rows: list[tuple], length: int, names: list[str]) -> DataFrame:
+    """By the words of a run, where it stands: one row a run, so that a join makes no copies."""
+    made = spark.createDataFrame([(*r[:4], r[5], *r[6].split(" ")) for r in rows if r[4] == length], "template int, label string, phrase boolean, runs int, at int, " + ", ".join(f"{n} string" for n in names[:length]))
+    return made.groupBy(*names[:length]).agg(F.collect_list(F.struct("template", "label", "phrase", "runs", "at")).alias(f"m{length}"))
 
 
 def scan_licenses(docs: DataFrame, phrases=PHRASES, templates=TEMPLATES, min_share: float = MIN_SHARE) -> DataFrame:
     """One row per row of ``docs(doc_id, text)``: doc_id, n_words, n_base, first_word,
     last_word, base_labels, labels, score, spans (of every accepted alignment)."""
-    spark = docs.sparkSession
+    spark, names = docs.sparkSession, [f"a{i}" for i in range(GRAM)]
     rows = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), words_of(F.col("text")).alias("w"))
-    pairs = rows.select("doc_id", "th", F.posexplode(F.arrays_zip(F.col("w").alias("a"), F.expr("slice(w, 2, greatest(size(w) - 1, 0))").alias("b"))).alias("pos", "p"))
-    pairs = pairs.select("doc_id", "th", "pos", F.col("p.a").alias("a"), F.col("p.b").alias("b")).where(F.col("b").isNotNull()).withColumn("h", F.xxhash64("a", "b"))
-    votes = pairs.join(F.broadcast(template_pairs(spark, phrases, templates)), ["h", "a", "b"])
-
-    key = ["doc_id", "th", "template", "label", "phrase", "pairs"]
-    diagonals = votes.groupBy(*key, (F.col("pos") - F.col("at")).alias("diag")).agg(F.collect_set("at").alias("hits"))
+    shifted = [F.col("w").alias("a0"), *[F.expr(f"slice(w, {i + 1}, greatest(size(w) - {i}, 0))").alias(f"a{i}") for i in range(1, GRAM)]]
+    words = rows.select("doc_id", "th", F.posexplode(F.arrays_zip(*shifted)).alias("pos", "p")).select("doc_id", "th", "pos", *[F.col(f"p.{n}").alias(n) for n in names])
+    runs = template_runs(phrases, templates)
+    matched = words
+    for length in (2, GRAM):
+        table = F.broadcast(_matches(spark, runs, length, names))
+        matched = matched.join(table, names[:length], "left")
+    nothing = F.array().cast("array<struct<template:int,label:string,phrase:boolean,runs:int,at:int>>")
+    votes = (
+        matched.where(F.col("m2").isNotNull() | F.col(f"m{GRAM}").isNotNull())
+        .select("doc_id", "th", "pos", F.explode(F.concat(F.coalesce("m2", nothing), F.coalesce(f"m{GRAM}", nothing))).alias("m")).select("doc_id", "th", "pos", "m.*")
+    )
+    key = ["doc_id", "th", "template", "label", "phrase", "runs"]
+    # Rows that repeat id and text vote twice for the same: sets, not lists.
+    diagonals = votes.groupBy(*key, (F.col("pos") - F.col("at")).alias("diag")).agg(F.collect_set(F.struct("pos", "at")).alias("hits"))
     along = Window.partitionBy("doc_id", "th", "template").orderBy("diag")
     apart = F.col("diag") - F.lag("diag").over(along)
     # A phrase is exact or not there, so its diagonals stay apart.
     fresh = (F.coalesce(apart, F.lit(NEAR_DIAGONALS + 1)) > NEAR_DIAGONALS) | F.col("phrase")
-    runs = diagonals.withColumn("run", F.sum(fresh.cast("int")).over(along.rowsBetween(Window.unboundedPreceding, 0)))
-    spans = runs.groupBy(*key, "run").agg(
-        F.min("diag").alias("start"),
-        F.max("diag").alias("end"),
-        F.size(F.array_distinct(F.flatten(F.collect_list("hits")))).alias("hit"),
-    ).withColumn("share", F.col("hit") / F.col("pairs"))
-    full = F.col("phrase") & (F.col("hit") == F.col("pairs"))
+    numbered = diagonals.withColumn("run", F.sum(fresh.cast("int")).over(along.rowsBetween(Window.unboundedPreceding, 0)))
+    gathered = numbered.groupBy(*key, "run").agg(F.min("diag").alias("diag"), F.array_sort(F.flatten(F.collect_list("hits"))).alias("hits"))
+    # The chain: from the first vote on, each next one further on in the template.
+    start = F.struct(F.lit(-1).alias("at"), F.lit(0).alias("n"), F.lit(-1).alias("end"))
+    rises = lambda c, h: F.when(h["at"] > c["at"], F.struct(h["at"].alias("at"), (c["n"] + 1).alias("n"), h["pos"].alias("end"))).otherwise(c)
+    spans = gathered.withColumn("chain", F.aggregate("hits", start, rises)).select(
+        *key, F.when(F.col("phrase"), F.col("diag")).otherwise(F.col("hits")[0]["pos"]).alias("start"),
+        (F.col("chain.end") + F.when(F.col("phrase"), 1).otherwise(GRAM - 1)).alias("end"), F.col("chain.n").alias("hit"),
+    ).withColumn("share", F.col("hit") / F.col("runs"))
+    full = F.col("phrase") & (F.col("hit") == F.col("runs"))
     accepted = full | (~F.col("phrase") & (F.col("share") >= min_share))
 
     def joined(when: Column) -> Column:
@@ -123,23 +149,24 @@ def op7_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _sql() -> str:
-    values = []
-    for t, (text, label) in enumerate([*PHRASES, *TEMPLATES]):
-        words = text.split(" ")
-        values += [f"({t}, '{label}', {str(t < len(PHRASES)).lower()}, {len(words) - 1}, {i}, '{a}', '{b}')" for i, (a, b) in enumerate(zip(words, words[1:]))]
+    values = [f"({t}, '{label}', {str(phrase).lower()}, {runs}, {n}, {at}, '{gram}')" for t, label, phrase, runs, n, at, gram in template_runs(PHRASES, TEMPLATES)]
     return rf"""
-WITH pairs(template, label, phrase, pairs, k, a, b) AS (VALUES {', '.join(values)}),
+WITH runs(template, label, phrase, runs, n, k, gram) AS (VALUES {', '.join(values)}),
 d AS (SELECT row_number() OVER () AS rid, doc_id,
   list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{SEPARATORS}'), lambda x: x <> '') AS w
   FROM documents),
-g AS (SELECT rid, unnest(w) AS a, unnest(list_concat(w[2:], [NULL])) AS b, unnest(range(len(w))) AS pos FROM d),
-v AS (SELECT DISTINCT rid, template, label, phrase, pairs, pos - k AS diag, k FROM g JOIN pairs USING (a, b)),
-x AS (SELECT rid, template, label, phrase, pairs, diag, list(k) AS hits FROM v GROUP BY ALL),
+p AS (SELECT rid, w, unnest(range(len(w))) AS pos FROM d),
+g AS (SELECT rid, pos, 2 AS n, array_to_string(w[pos + 1:pos + 2], ' ') AS gram FROM p
+  UNION ALL SELECT rid, pos, {GRAM}, array_to_string(w[pos + 1:pos + {GRAM}], ' ') FROM p),
+v AS (SELECT rid, template, label, phrase, runs, pos, k, pos - k AS diag FROM g JOIN runs USING (n, gram)),
+x AS (SELECT rid, template, diag, any_value(phrase) AS phrase FROM v GROUP BY ALL),
 f AS (SELECT *, CASE WHEN phrase OR coalesce(diag - lag(diag) OVER (PARTITION BY rid, template ORDER BY diag), 99) > {NEAR_DIAGONALS} THEN 1 ELSE 0 END AS fresh FROM x),
 r AS (SELECT *, sum(fresh) OVER (PARTITION BY rid, template ORDER BY diag) AS run FROM f),
-s AS (SELECT rid, template, label, phrase, pairs, run, min(diag) AS start,
-  len(list_distinct(flatten(list(hits)))) AS hit FROM r GROUP BY ALL),
-m AS (SELECT *, phrase AND hit = pairs AS exact, hit::DOUBLE / pairs AS share FROM s),
+h AS (SELECT v.rid, v.template, v.label, v.phrase, v.runs, r.run, min(v.diag) AS start, list(v.k ORDER BY v.pos, v.k) AS places
+  FROM v JOIN r ON v.rid = r.rid AND v.template = r.template AND v.diag = r.diag GROUP BY ALL),
+s AS (SELECT *, list_reduce(list_prepend({{'at': -1, 'n': 0}}, list_transform(places, lambda y: {{'at': y, 'n': 0}})),
+  lambda c, y: CASE WHEN y.at > c.at THEN {{'at': y.at, 'n': c.n + 1}} ELSE c END).n AS hit FROM h),
+m AS (SELECT *, phrase AND hit = runs AS exact, hit::DOUBLE / runs AS share FROM s),
 o AS (SELECT rid, count(*) FILTER (exact) AS n_base, min(start) FILTER (exact) AS first_word, max(start) FILTER (exact) AS last_word,
   string_agg(DISTINCT label, ',' ORDER BY label) FILTER (exact) AS base_labels,
   string_agg(DISTINCT label, ',' ORDER BY label) FILTER (exact OR (NOT phrase AND share >= {MIN_SHARE})) AS labels,

@@ -74,3 +74,25 @@ def test_license_places_and_alignments(spark):
         assert 0 <= r["score"] <= 1
     assert out[9]["labels"] == "mit" and out[10]["labels"] == "" and out[11]["labels"] == "cc-by,cc-by-nc" and out[None]["labels"] == "mit"
     assert licenses.scan_licenses(df).count() == len(rows) and licenses.scan_licenses(df.limit(0)).count() == 0
+
+
+def test_any_part_of_a_licence_is_found_and_its_span_verified(spark):
+    parts = dict(enumerate(licenses.TEMPLATES))
+    warranty = next(t for t, label in licenses.TEMPLATES if label == "mit" and t.startswith("the software is provided"))
+    section = max((t for t, label in licenses.TEMPLATES if label == "apache-2.0"), key=len)
+    words = section.split()
+    changed = " ".join(w if i % 40 else "x" for i, w in enumerate(words))
+    rows = [(i, "before it " + t.upper() + " after it") for i, (t, _) in parts.items()]
+    rows += [(1000, warranty), (1001, changed), (1002, " ".join(words[: len(words) // 3])), (1003, " ".join(reversed(words))), (1004, " ".join(words[len(words) // 2 :] + words[: len(words) // 2]))]
+    # Six words put in move the rest to a neighbouring diagonal; forty do not belong to the alignment.
+    rows += [(1005, " ".join([*words[:90], *"one two three four five six".split(), *words[90:]]))]
+    out = {r["doc_id"]: r for r in licenses.scan_licenses(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for i, (t, label) in parts.items():
+        assert label in out[i]["labels"].split(","), t
+        # An alignment covers the part and nothing before or behind it.
+        assert any(x["label"] == label and (x["start"], x["end"]) == (2, 1 + len(t.split())) and x["share"] == 1 for x in out[i]["spans"])
+        assert out[i]["score"] == 1
+    assert "mit" in out[1000]["labels"].split(",") and "apache-2.0" in out[1001]["labels"].split(",") and out[1001]["score"] < 1
+    assert not {"apache-2.0"} & set(out[1002]["labels"].split(",")) and 0.2 < out[1002]["score"] < 0.45
+    assert out[1003]["labels"] == "" and "apache-2.0" in out[1005]["labels"].split(",")
+    assert out[1004]["score"] < 0.6
