@@ -4,12 +4,12 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from exactrank.plans.guided import count_around, quantile_values
 from exactrank.plans.values import value_column
+from exactrank.sources.shared import scratch
 
 
 def rank_of_value(df: DataFrame, col: str, x) -> DataFrame:
@@ -24,7 +24,11 @@ def rank_all(df: DataFrame, order: Sequence[str], out: str = "rk", partitions: i
     plus the sizes of those before (as many numbers as partitions)."""
     parts = partitions or max(1, df.rdd.getNumPartitions())
     ordered = df.repartitionByRange(parts, *order).sortWithinPartitions(*order)
-    numbered = ordered.withColumn("_pid", F.spark_partition_id()).withColumn("_idx", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1)).persist(StorageLevel.MEMORY_AND_DISK)
+    numbered = ordered.withColumn("_pid", F.spark_partition_id()).withColumn("_idx", F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1))
+    # Stored, because another run would sample other splitters; a table needs no release.
+    path, schema = scratch(df.sparkSession, "ranked"), numbered.schema
+    numbered.write.parquet(path)
+    numbered = df.sparkSession.read.schema(schema).parquet(path)
     before, starts = 0, []
     for pid, n in sorted(numbered.groupBy("_pid").count().collect()):
         starts.append((pid, before))

@@ -12,8 +12,6 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from exactrank.plans.values import literal  # noqa: F401  (part of the module's surface)
-
 
 def guided_quantile_by(df: DataFrame, keys: Sequence[str], col: str | Column, q: float, eps: float = 1e-3) -> DataFrame:
     """(keys, n, value) with the discrete quantile (1-based rank ceil(q n)) of each group;
