@@ -17,7 +17,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from exactrank.llm.common import documents
+from exactrank.llm.common import documents, own_name
 
 SHARDS = 16
 #: Slot numbering counts rows in this many fixed groups of every shard.
@@ -65,16 +65,17 @@ def with_slots(df: DataFrame, shard: str, key: str, order: Sequence[str], out: s
     the input, so they are safe to broadcast.
     """
     group = F.conv(F.substring(F.md5(stable_key(F.col(key))), 1, 3), 16, 10).cast("int")
-    rows = df.withColumn("_group", group)
-    counts = rows.groupBy(F.col(shard).alias("_s"), F.col("_group").alias("_g")).agg(F.count("*").alias("_n"))
-    before = Window.partitionBy("_s").orderBy("_g").rowsBetween(Window.unboundedPreceding, -1)
-    starts = counts.select("_s", "_g", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
-    within = Window.partitionBy(shard, "_group").orderBy(*order)
-    numbered = rows.withColumn("_nth", F.row_number().over(within) - 1)
+    own, nth, s, g, start = (own_name(df, f"slot {x}") for x in ("group", "place", "shard", "number", "start"))
+    rows = df.withColumn(own, group)
+    counts = rows.groupBy(F.col(shard).alias(s), F.col(own).alias(g)).agg(F.count("*").alias("n"))
+    before = Window.partitionBy(s).orderBy(g).rowsBetween(Window.unboundedPreceding, -1)
+    starts = counts.select(s, g, F.coalesce(F.sum("n").over(before), F.lit(0)).alias(start))
+    within = Window.partitionBy(shard, own).orderBy(*order)
+    numbered = rows.withColumn(nth, F.row_number().over(within) - 1)
     return (
-        numbered.join(F.broadcast(starts), (F.col(shard) == F.col("_s")) & (F.col("_group") == F.col("_g")))
-        .withColumn(out, (F.col("_start") + F.col("_nth")).cast("long"))
-        .drop("_s", "_g", "_start", "_nth", "_group")
+        numbered.join(F.broadcast(starts), (F.col(shard) == F.col(s)) & (F.col(own) == F.col(g)))
+        .withColumn(out, (F.col(start) + F.col(nth)).cast("long"))
+        .drop(s, g, start, nth, own)
     )
 
 

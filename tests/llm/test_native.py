@@ -96,3 +96,11 @@ def test_any_part_of_a_licence_is_found_and_its_span_verified(spark):
     assert not {"apache-2.0"} & set(out[1002]["labels"].split(",")) and 0.2 < out[1002]["score"] < 0.45
     assert out[1003]["labels"] == "" and "apache-2.0" in out[1005]["labels"].split(",")
     assert out[1004]["score"] < 0.6
+
+
+def test_slots_keep_columns_of_any_name(spark):
+    df = spark.createDataFrame([(i, 0, i, i, i, i) for i in range(9)], "id long, shard int, _group long, _nth long, _s long, `slot group` long")
+    out = sharding.with_slots(df, "shard", "id", ["id"])
+    assert out.columns == [*df.columns, "slot"]
+    rows = out.collect()
+    assert sorted(r["slot"] for r in rows) == list(range(9)) and all(r["_group"] == r["_nth"] == r["_s"] == r["slot group"] == r["id"] for r in rows)
