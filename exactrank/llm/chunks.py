@@ -11,13 +11,14 @@ import ctypes
 import gc
 import os
 import re
-from collections.abc import Callable, Iterable
+from collections.abc import Callable, Iterable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
 
 #: What one generation of a worker's cache holds, as counted; two are alive at most.
-CACHE_BYTES = 60_000_000
+CACHE_BYTES = 120_000_000
 #: What an entry takes beside its text and ids.
 _ENTRY = 200
 
@@ -33,6 +34,19 @@ def release_memory() -> None:
         pass
 
 
+@contextmanager
+def uncollected() -> Iterator[None]:
+    """Without Python's cycle collector: encoding makes millions of small objects and no cycles,
+    and each pass over a full cache costs more than the encoding between two passes."""
+    was = gc.isenabled()
+    gc.disable()
+    try:
+        yield
+    finally:
+        if was:
+            gc.enable()
+
+
 class Generations:
     """A bounded cache in two generations: a full new one becomes the old one, and what is asked
     for again moves back. Frequent entries stay, and at most twice ``limit`` bytes are held."""

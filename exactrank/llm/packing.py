@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from exactrank.llm.chunks import byte_bpe_encoder
+from exactrank.llm.chunks import byte_bpe_encoder, uncollected
 from exactrank.llm.common import documents, materialise
 
 CAPACITY = 1024
@@ -47,20 +47,21 @@ def token_pieces(docs: DataFrame, tokenizer: str, end_id: int = END_ID, capacity
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = byte_bpe_encoder(tokenizer)
         end = np.array([end_id], "<u4")
-        for batch in batches:
-            rows: list[tuple] = []
-            for doc, text in zip(batch["doc_id"].to_pylist(), batch["text"]):
-                ids = np.concatenate([encode(text.as_py() or ""), end])
-                at = 0
-                for piece, length in enumerate(cut_lengths(len(ids), capacity)):
-                    own = ids[at : at + length].tobytes()
-                    rows.append((doc, piece, at, length, zlib.crc32(own), own if with_ids else None))
-                    at += length
-            columns = list(zip(*rows)) or [()] * 6
-            kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
-            names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"]
-            keep = 6 if with_ids else 5
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in list(zip(columns, kinds))[:keep]], names[:keep])
+        with uncollected():
+            for batch in batches:
+                rows: list[tuple] = []
+                for doc, text in zip(batch["doc_id"].to_pylist(), batch["text"]):
+                    ids = np.concatenate([encode(text.as_py() or ""), end])
+                    at = 0
+                    for piece, length in enumerate(cut_lengths(len(ids), capacity)):
+                        own = ids[at : at + length].tobytes()
+                        rows.append((doc, piece, at, length, zlib.crc32(own), own if with_ids else None))
+                        at += length
+                columns = list(zip(*rows)) or [()] * 6
+                kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
+                names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"]
+                keep = 6 if with_ids else 5
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in list(zip(columns, kinds))[:keep]], names[:keep])
         encode.forget()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, _PIECES + (", ids binary" if with_ids else ""))
