@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from exactrank.llm.chunks import ChunkEncoder, Generations
+from exactrank.llm.chunks import ChunkEncoder, Generations, uncollected
 from exactrank.llm.common import documents
 
 METASPACE = "▁"
@@ -34,7 +34,7 @@ METASPACE = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
 #: One generation of a worker's cache of chunks.
-CACHE_BYTES = 100_000_000
+CACHE_BYTES = 160_000_000
 
 
 def _fields(data: bytes) -> Iterator[tuple[int, object]]:
@@ -181,25 +181,25 @@ class PieceCodec:
         self._packed = [i.to_bytes(4, "little") for i in range(len(model.pieces))]
         # The cut is exact only if no piece has a metaspace after another character.
         whole = any(METASPACE in p.lstrip(METASPACE) for p, _, t in model.pieces if t == NORMAL)
-        self.simple = not model.charsmap and not model.collapse_spaces and model.add_prefix and model.escape_spaces
+        self.simple = not whole and not model.charsmap and not model.collapse_spaces and model.add_prefix and model.escape_spaces
         self.encode_text = ChunkEncoder((lambda t: [t] if t else []) if whole else self._chunks, self._encode, Generations(CACHE_BYTES))
 
     def _chunks(self, text: str) -> list[str]:
         if not text:
             return []
         if self.simple:
-            marked = METASPACE + text.replace(" ", METASPACE)
-            if METASPACE * 2 not in marked and marked[-1] != METASPACE:
-                return [METASPACE + w for w in marked[1:].split(METASPACE)]
-        else:
-            marked = self.normalizer.normalize_str(text)
-        return _CHUNK.findall(marked)
+            # Chunks go without their first marker, so that they are bare words.
+            words = text.split(" ")
+            if "" not in words and METASPACE not in text:
+                return words
+            return [c[1:] for c in _CHUNK.findall(METASPACE + text.replace(" ", METASPACE))]
+        return _CHUNK.findall(self.normalizer.normalize_str(text))
 
     def _encode(self, chunks: list[str]) -> list[bytes]:
         # Chunks are normalised already, so the bare model takes them; a batch of the library's
         # whole tokenizer costs two to six times the CPU on such short strings.
-        merge, packed = self._core.tokenize, self._packed
-        return [b"".join([packed[t.id] for t in merge(c)]) for c in chunks]
+        merge, packed, marker = self._core.tokenize, self._packed, METASPACE if self.simple else ""
+        return [b"".join([packed[t.id] for t in merge(marker + c)]) for c in chunks]
 
     def decode(self, ids: list[int]) -> str:
         return self.tokenizer.decode(ids, skip_special_tokens=False)
@@ -224,21 +224,22 @@ def encode_documents(docs: DataFrame, model: str, with_ids: bool = False) -> Dat
         from sentencepiece import SentencePieceProcessor
 
         own, reference = codec(model), SentencePieceProcessor(model_file=model)
-        for batch in batches:
-            rows = []
-            for doc, text in zip(batch["doc_id"].to_pylist(), batch["text"].to_pylist()):
-                text = text or ""
-                ids = own.encode_text(text)
-                listed = ids.tolist()
-                decoded = own.decode(listed)
-                parity = reference.encode(text) == listed and reference.decode(listed) == decoded
-                packed = ids.astype("<u4").tobytes()
-                rows.append((doc, len(ids), zlib.crc32(packed), zlib.crc32(decoded.encode()), decoded == text, parity, packed))
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.bool_(), pa.binary()]
-            names = ["doc_id", "n_ids", "ids_crc32", "decoded_crc32", "round_trip", "parity", "ids"]
-            keep = 7 if with_ids else 6
-            columns = list(zip(*rows)) or [()] * 7
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in list(zip(columns, kinds))[:keep]], names[:keep])
+        with uncollected():
+            for batch in batches:
+                rows = []
+                for doc, text in zip(batch["doc_id"].to_pylist(), batch["text"].to_pylist()):
+                    text = text or ""
+                    ids = own.encode_text(text)
+                    listed = ids.tolist()
+                    decoded = own.decode(listed)
+                    parity = reference.encode(text) == listed and reference.decode(listed) == decoded
+                    packed = ids.tobytes()
+                    rows.append((doc, len(ids), zlib.crc32(packed), zlib.crc32(decoded.encode()), decoded == text, parity, packed))
+                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.bool_(), pa.binary()]
+                names = ["doc_id", "n_ids", "ids_crc32", "decoded_crc32", "round_trip", "parity", "ids"]
+                keep = 7 if with_ids else 6
+                columns = list(zip(*rows)) or [()] * 7
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in list(zip(columns, kinds))[:keep]], names[:keep])
         own.encode_text.forget()
 
     schema = "doc_id long, n_ids long, ids_crc32 long, decoded_crc32 long, round_trip boolean, parity boolean"
