@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import gc
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -43,9 +44,12 @@ def discard(df: DataFrame) -> None:
 def release_shuffles(spark: SparkSession) -> None:
     """Have Spark's cleaner drop the shuffle files of plans that nothing refers to any more, such
     as those behind a table that ``materialise`` has written. Otherwise they stay until the
-    driver's heap fills."""
+    driver's heap fills. The Python side lets go of its objects in the JVM once a second, so the
+    JVM is asked after that, and again for what the first pass leaves unreachable."""
     gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for wait in (1.5, 0.5):
+        time.sleep(wait)
+        spark.sparkContext._jvm.System.gc()
 
 
 def own_name(df: DataFrame, base: str) -> str:
