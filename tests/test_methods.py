@@ -116,6 +116,18 @@ def test_sorting(spark):
         assert got(sort_quantile(column(spark, values, kind), "v", QS, how=how)) == want(values)
 
 
+def test_a_top_k_is_bounded_and_the_rest_is_exact(spark, monkeypatch):
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    taken, offset = [], DataFrame.offset
+    monkeypatch.setattr("exactrank.plans.fullsort.TOPK_ROWS", 40, raising=False)
+    monkeypatch.setattr(DataFrame, "offset", lambda self, n: taken.append(n) or offset(self, n))
+    values = [float(i * 37 % 500) for i in range(500)] + [float("nan")] * 3 + [None]
+    shares = ["0", "0.004", "0.3", "0.5", "0.99", "1"]
+    assert str(got(sort_quantile(column(spark, values, "double"), "v", shares, how="global_limit", partitions=4))) == str(want(values, shares))
+    assert taken and max(taken) < 10
+
+
 def test_rules_that_interpolate(spark):
     values = [1.0, 2.0, 4.0, 8.0]
     df = column(spark, values, "double")
