@@ -7,6 +7,7 @@ uniform candidate for each side) are merged in a tree, collected, or made by one
 from __future__ import annotations
 
 import random
+import re
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -135,27 +136,43 @@ def select_rank(live: DataFrame, k: int, gather: str = "tree", store: str = "fil
             kept.unpersist()
 
 
+def is_computed(values: DataFrame) -> bool:
+    """Whether the one column is more than a column of its source."""
+    plan = values._jdf.queryExecution().optimizedPlan().toString()
+    bare = r"\w+#\d+L?(?: AS v#\d+L?)?"
+    return any(not re.search(rf"(?:Relation|LogicalRDD|LocalRelation|Filter|InMemoryRelation|Project \[{bare}\]$)", line) for line in plan.splitlines() if re.match(r"\W*[A-Z]", line))
+
+
 def prune_quantile(df: DataFrame, col: str | Column, q, *, gather: str = "tree", store: str = "filter", rule: str = "nearest", seed: int = 1, max_rounds: int = 400, nan_policy: str = "last", ledger: RunLedger | None = None) -> DataFrame:
-    """As ``guided_quantile``, by pruning."""
+    """As ``guided_quantile``, by pruning. With ``store="filter"`` a computed column is made once
+    and kept: bounds on it would else be pushed below, each with the whole expression in it."""
     ledger = ledger if ledger is not None else RunLedger()
     ledger.method = ledger.method or f"prune_{gather}"
     values = value_column(df, col, nan_policy)
     spark = df.sparkSession
+    made = store == "filter" and is_computed(values)
+    if made:
+        values = values.persist(StorageLevel.MEMORY_AND_DISK)
+        ledger.persists += 1
     if store in CUT_AFTER:
         from exactrank.sources.shared import ensure_checkpoint_dir
 
         ensure_checkpoint_dir(spark)
-    with ledger.round(spark, "sizes"):
-        n, nan, _, _ = sizes(values)
-    ledger.n, ledger.partitions = n, values.rdd.getNumPartitions()
-    live = values.where(~F.isnan("v")) if isinstance(kind_of(values), FLOATING) else values
-    rows = []
-    for x in q if isinstance(q, (list, tuple)) else [q]:
-        t = target_rank(n, x, rule)
-        if t is None:
-            rows.append((float(exact_share(x)), None, None))
-            continue
-        got = [float("nan") if k >= n - nan else select_rank(live, k, gather, store, seed, max_rounds, ledger) for k in ([t.low, t.high] if t.weight else [t.low])]
-        value = got[0] if len(got) == 1 else got[0] + (got[1] - got[0]) * float(t.weight)
-        rows.append((float(exact_share(x)), t.low, float(value) if rule in ("midpoint", "linear") else value))
+    try:
+        with ledger.round(spark, "sizes"):
+            n, nan, _, _ = sizes(values)
+        ledger.n, ledger.partitions = n, values.rdd.getNumPartitions()
+        live = values.where(~F.isnan("v")) if isinstance(kind_of(values), FLOATING) else values
+        rows = []
+        for x in q if isinstance(q, (list, tuple)) else [q]:
+            t = target_rank(n, x, rule)
+            if t is None:
+                rows.append((float(exact_share(x)), None, None))
+                continue
+            got = [float("nan") if k >= n - nan else select_rank(live, k, gather, store, seed, max_rounds, ledger) for k in ([t.low, t.high] if t.weight else [t.low])]
+            value = got[0] if len(got) == 1 else got[0] + (got[1] - got[0]) * float(t.weight)
+            rows.append((float(exact_share(x)), t.low, float(value) if rule in ("midpoint", "linear") else value))
+    finally:
+        if made:
+            values.unpersist()
     return result_frame(spark, rows, kind_of(values), rule in ("midpoint", "linear"))

@@ -128,6 +128,21 @@ def test_a_top_k_is_bounded_and_the_rest_is_exact(spark, monkeypatch):
     assert taken and max(taken) < 10
 
 
+def test_bounds_on_a_computed_column_are_not_pushed_into_it(spark, monkeypatch):
+    from exactrank.plans import prune
+    from exactrank.sources.distributions import bimodal
+
+    plans, gather = [], prune._gather
+    monkeypatch.setattr(prune, "_gather", lambda live, *a: plans.append(live._jdf.queryExecution().optimizedPlan().toString()) or gather(live, *a))
+    df = bimodal(spark, SF)
+    assert got(prune_quantile(df, "v", "0.5", gather="agg")) == want([r["v"] for r in df.collect()], ["0.5"])
+    scans = [p.split("InMemoryRelation")[0] for p in plans]
+    assert len(plans) > 3 and not any("l_partkey" in s for s in scans)
+    plans.clear()
+    prune_quantile(load(spark, SF, "lineitem", "l_extendedprice"), "l_extendedprice", "0.5", gather="agg")
+    assert not any("InMemoryRelation" in p for p in plans)
+
+
 def test_rules_that_interpolate(spark):
     values = [1.0, 2.0, 4.0, 8.0]
     df = column(spark, values, "double")
