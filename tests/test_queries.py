@@ -44,6 +44,15 @@ def test_query(spark, duck, name):
     assert rows == sorted(str([plain(r[names.index(c)]) for c in columns]) for r in cursor.fetchall())
 
 
+def test_extremes_that_several_events_share(spark, tmp_path):
+    rows = "(5, 'view', 1.0), (3, 'view', 1.0), (4, 'view', 9.0), (2, 'view', 9.0), (7, 'view', 9.0), (1, 'view', NULL), (8, 'none', NULL), (9, 'click', -0.0), (6, 'click', 0.0)"
+    con = duckdb.connect()
+    con.execute(f"CREATE TABLE events AS SELECT event_id::BIGINT AS event_id, TIMESTAMP '2024-01-01' AS ts, 1::BIGINT AS user_id, event_type, value::DOUBLE AS value, '{{}}' AS props FROM (VALUES {rows}) t(event_id, event_type, value) ORDER BY event_id")
+    con.execute(f"COPY events TO '{tmp_path}/events.parquet'")
+    out = catalog.queries()["agg_orderstats"](spark, str(tmp_path))
+    assert sorted(map(tuple, out.collect())) == sorted(con.execute(catalog.oracle_sql()["agg_orderstats"]).fetchall())
+
+
 def test_entry(spark):
     import __spark_entry__ as entry
 
