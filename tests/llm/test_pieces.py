@@ -86,3 +86,22 @@ def test_ties_are_broken_as_the_library_does(pieces, text):
     if "▁" not in dict(pieces):
         return  # unknown runs could then cross words
     assert uc.WordCounter(pieces, False)([text])[0] == len(lib.encode(marked).ids)
+
+
+def test_texts_decode_by_their_chunks(monkeypatch):
+    own = sp.PieceCodec(sp.read_model(public_tokenizers.path("piece_bpe_32k.model")))
+    assert own.by_chunks
+    texts = ["", " ", "a b", " a  b ", "a▁b c", "x\ny z\t", "<s> </s> <unk> <0x41>", "naïve 漢字 🙂 é", "\x00 \x7f", "tail ", "🙂 🙂", "a b" * 50]
+    whole, asked = own.decode, []
+    monkeypatch.setattr(own, "decode", lambda ids: asked.append(1) or whole(ids))
+    for most in (sp.MOST_CHANGED, -1):
+        monkeypatch.setattr(sp, "MOST_CHANGED", most)
+        for t in [*texts, *texts]:
+            ids = own.encode_text(t).tolist()
+            assert own.decode_encoded(t, ids) == whole(ids)
+        if most > 0:
+            assert len(asked) < len(texts)
+    own.changed.add("b")
+    monkeypatch.setattr(sp, "MOST_CHANGED", 5)
+    asked.clear()
+    assert own.decode_encoded("a b", own.encode_text("a b").tolist()) == "a b" and asked
