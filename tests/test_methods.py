@@ -133,7 +133,7 @@ def test_bounds_on_a_computed_column_are_not_pushed_into_it(spark, monkeypatch):
     from exactrank.sources.distributions import bimodal
 
     plans, gather = [], prune._gather
-    monkeypatch.setattr(prune, "_gather", lambda live, *a: plans.append(live._jdf.queryExecution().optimizedPlan().toString()) or gather(live, *a))
+    monkeypatch.setattr(prune, "_gather", lambda live, *a: plans.append(live.select("v")._jdf.queryExecution().optimizedPlan().toString()) or gather(live, *a))
     df = bimodal(spark, SF)
     assert got(prune_quantile(df, "v", "0.5", gather="agg")) == want([r["v"] for r in df.collect()], ["0.5"])
     scans = [p.split("InMemoryRelation")[0] for p in plans]
